@@ -31,7 +31,7 @@ from galoislake.llm.vectors import matrix, unit, usable
 
 TREES = 48
 BITS = 64
-SHARE = 0.9  # entries wanted from the trees, as a multiple of the block's rows; an entry in many trees counts in each
+SHARE = 1.2  # entries wanted from the trees, as a multiple of the block's rows; an entry in many trees counts in each
 LEAST = 256
 BLOCK, BATCH = 8192, 2048
 
@@ -95,8 +95,8 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 5, trees: int = TREE
     index, asked = fit(vectors), settle(fit(queries).distinct(), "queries")
     blocks, batches = max(1, -(-index.count() // block)), max(1, -(-asked.count() // batch))
     salt = F.xxhash64("id")
-    rows = index.select("id", "x", "size", F.lit(False).alias("asks"), F.pmod(salt, F.lit(blocks)).alias("block"), F.explode(F.sequence(F.lit(0), F.lit(batches - 1))).cast("long").alias("batch"))
-    asks = asked.select("id", "x", "size", F.lit(True).alias("asks"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).cast("long").alias("block"), F.pmod(salt, F.lit(batches)).alias("batch"))
+    rows = index.select("id", "x", "size", F.lit(False).alias("asks"), F.pmod(salt, F.lit(blocks)).alias("block"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(batches - 1).cast("long"))).alias("batch"))
+    asks = asked.select("id", "x", "size", F.lit(True).alias("asks"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("block"), F.pmod(salt, F.lit(batches)).alias("batch"))
 
     def answer(t: pa.Table) -> pa.Table:
         query, near, score = _answers(t, k, trees, share)
