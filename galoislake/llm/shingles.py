@@ -7,9 +7,11 @@ size are one group, and only groups enter the inverted lists of prefix shingles.
 
 Lists may be long where thousands of documents are near copies, so pairs within a list are never
 written out. Rounds first compare each group with one leader it shares most with, verify the members'
-sets and contract what is linked; rounds go on while they find links. What then shares enough prefix
-shingles across different components is compared in full, so no link between components is lost:
-candidates are pairs of a group and a component, then pairs of sets, verified on the whole sets.
+sets and contract what is linked; rounds go on while they find links. What then shares prefix shingles
+across different components is compared in full, so no link between components is lost. Lists led by
+one component make a bundle. A bundle of many components is compared inside of tasks, block by block of
+its sets, which return links only. In the other lists, candidates are pairs of a group and a component
+that share at least `c` shingles, then pairs of sets, verified on the whole sets.
 
 Nothing but the heavy shingles (at most HEAVY, only an order) and a bit map of fixed size is sent to
 tasks. Defined results: null and empty texts, and texts of white space, have no shingles and link with
@@ -34,6 +36,8 @@ WORDS, PERCENT = 5, 80
 HEAVY = 200_000  # shingles that end the order; which ones they are changes the cost, never the result
 CHUNK, LOCAL = 1 << 22, 6  # shingles that a task counts together; a count that makes one a candidate
 ROUNDS = 4
+BUNDLE = 64  # components from which on a bundle is compared in blocks
+BLOCK = 512  # sets of one side of a block
 _BITS = 1 << 26
 _U = np.uint64
 
@@ -223,7 +227,11 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
         forget(new)
         old, parts = parts, settle(components(links, "x", "y"), "parts")
         forget(old)
-    rest = settle(_verified(settle(_across(pool, active, parts, percent), "across"), whole, percent), "rest")
+    own = settle(_labelled(pool, parts), "labelled")
+    tagged = settle(_bundled(own, active), "bundled")
+    large = settle(tagged.select("lead", "part").distinct().groupBy("lead").agg(F.count("*").alias("parts")).where(F.col("parts") >= BUNDLE).select("lead"), "large")
+    pairs = _across(own, tagged.join(large, "lead", "left_anti"), percent)
+    rest = settle(_verified(pairs, whole, percent).unionByName(_in_blocks(own, tagged.join(large, "lead", "left_semi"), whole, percent)), "rest")
     if not rest.isEmpty():
         parts = components(links.unionByName(rest), "x", "y")
     of_set = sets.join(parts, sets["id"] == parts["node"], "left").select("a", "b", F.coalesce("component", "id").alias("component"))
@@ -248,17 +256,53 @@ def _leaders(pool: DataFrame, active: DataFrame, parts: DataFrame, percent: int)
     return own.join(best, ["g", "part"]).select(F.col("id").alias("x"), "y")
 
 
-def _across(pool: DataFrame, active: DataFrame, parts: DataFrame, percent: int) -> DataFrame:
-    """(x, y): every pair of sets in different parts that may still be linked."""
-    own = settle(_labelled(pool, parts), "labelled")
+def _bundled(own: DataFrame, active: DataFrame) -> DataFrame:
+    """The lists that hold several parts, each with the least of them as its lead."""
+    run = active.join(own.groupBy("g", "part").agg(F.max("n").alias("n")), "g")
+    lead = run.groupBy("token").agg(F.min("part").alias("lead"), F.max("part").alias("last")).where("lead != last").select("token", "lead")
+    return run.join(lead, "token").select("lead", "token", "g", "part", "n")
+
+
+def _in_blocks(own: DataFrame, tagged: DataFrame, whole: DataFrame, percent: int) -> DataFrame:
+    """Links (x, y) between parts of one bundle: its sets meet in blocks, and only links leave a task."""
+    members = tagged.select("lead", "g", "part").distinct().join(own.select("id", "g", "part"), ["g", "part"]).select("lead", "id", "part")
+    blocks = members.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
+    placed = members.join(blocks, "lead").withColumn("at", F.pmod(F.xxhash64("id"), F.col("blocks")))
+    each = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    met = each.select("lead", "id", "part", "at", F.least("at", "other").alias("i"), F.greatest("at", "other").alias("j"))
+
+    def compare(t: pa.Table) -> pa.Table:
+        ids, part, at = (t.column(c).to_numpy() for c in ("id", "part", "at"))
+        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        sets = [np.frombuffer(x, dtype=_U) for x in t.column("s").to_pylist()]
+        sizes = np.array([len(x) for x in sets], dtype=np.int64)
+        a, b = np.flatnonzero(at == i), np.flatnonzero(at == j)
+        _, code, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        keep = often[code] > 1  # shingles of one set alone are in no intersection
+        code, row = (np.cumsum(often > 1) - 1)[code[keep]], np.repeat(np.arange(len(sets)), sizes)[keep]
+        both = np.zeros((len(a), len(b)), dtype=np.float32)
+        for low in range(0, int(code.max(initial=-1)) + 1, 4096):
+            inside = (code >= low) & (code < low + 4096)
+            x = np.zeros((len(sets), 4096), dtype=np.float32)
+            x[row[inside], code[inside] - low] = 1
+            both += x[a] @ x[b].T
+        linked = 100 * both >= percent * (sizes[a][:, None] + sizes[b][None] - both)
+        linked &= part[a][:, None] != part[b][None]
+        x, y = np.nonzero(linked)
+        return pa.table({"x": pa.array(ids[a[x]], pa.int64()), "y": pa.array(ids[b[y]], pa.int64())})
+
+    full = met.join(whole.select("id", "s"), "id")
+    return full.groupBy("lead", "i", "j").applyInArrow(compare, "x long, y long")
+
+
+def _across(own: DataFrame, run: DataFrame, percent: int) -> DataFrame:
+    """(x, y): every pair of sets in different parts that may still be linked, by the given lists."""
     sizes = own.groupBy("part").agg(F.count("*").alias("size"))
-    groups = own.groupBy("g", "part").agg(F.max("n").alias("n")).join(sizes, "part")
-    run = active.join(groups, "g")
+    run = run.drop("lead").join(sizes, "part")
     held = run.groupBy("token", "part").agg(F.first("size").alias("size"), F.min("n").alias("low"), F.max("n").alias("high"))
-    mixed = run.groupBy("token").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p != q").select("token")
     other = held.select("token", F.col("part").alias("to_part"), F.col("size").alias("to_size"), "low", "high")
     may = (F.struct("size", "part") < F.struct("to_size", "to_part")) & (100 * F.col("high") >= percent * F.col("n")) & (percent * F.col("low") <= 100 * F.col("n"))
-    found = run.join(mixed, "token", "left_semi").join(other, "token").where(may).groupBy("g", "part", "to_part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent))
+    found = run.join(other, "token").where(may).groupBy("g", "part", "to_part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent))
     x = own.select(F.col("id").alias("x"), "g", "part", F.col("n").alias("nx"))
     y = own.select(F.col("id").alias("y"), F.col("part").alias("to_part"), F.col("n").alias("ny"))
     fits = (100 * F.col("ny") >= percent * F.col("nx")) & (percent * F.col("ny") <= 100 * F.col("nx"))
