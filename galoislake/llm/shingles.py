@@ -9,9 +9,9 @@ Lists may be long where thousands of documents are near copies, so pairs within
 written out. Rounds first compare each group with one leader it shares most with, verify the members'
 sets and contract what is linked; rounds go on while they find links. What then shares prefix shingles
 across different components is compared in full, so no link between components is lost. Lists led by
-one component make a bundle. A bundle of many components is compared inside of tasks, block by block of
-its sets, which return links only. In the other lists, candidates are pairs of a group and a component
-that share at least `c` shingles, then pairs of sets, verified on the whole sets.
+one component make a bundle. The sets of a bundle of many components meet one another; in the other
+lists, a group meets each component with which it shares at least `c` shingles. Meetings are held inside
+of tasks, block by block of whole sets, and only links leave a task.
 
 Nothing but the heavy shingles (at most HEAVY, only an order) and a bit map of fixed size is sent to
 tasks. Defined results: null and empty texts, and texts of white space, have no shingles and link with
@@ -34,10 +34,10 @@ from galoislake.llm.graph import components
 
 WORDS, PERCENT = 5, 80
 HEAVY = 200_000  # shingles that end the order; which ones they are changes the cost, never the result
-CHUNK, LOCAL = 1 << 22, 6  # shingles that a task counts together; a count that makes one a candidate
+CHUNK, LOCAL = 1 << 21, 5  # shingles that a task counts together; a count that makes one a candidate
 ROUNDS = 4
 BUNDLE = 64  # components from which on a bundle is compared in blocks
-BLOCK = 512  # sets of one side of a block
+SETS, SHINGLES = 512, 500_000  # bounds of one side of a block
 _BITS = 1 << 26
 _U = np.uint64
 
@@ -82,7 +82,7 @@ def shingle_set(text: str | None, words: int = WORDS) -> np.ndarray:
 
 def least_common(n: int, percent: int = PERCENT) -> int:
     """Shingles that a prefix of a set of n is long enough to hold of any linked pair."""
-    return 1 + min(40, -(-n * percent // 100) // 20)
+    return 1 + -(-n * percent // 100) // 20
 
 
 def prefix_length(n: int, percent: int = PERCENT) -> int:
@@ -91,7 +91,7 @@ def prefix_length(n: int, percent: int = PERCENT) -> int:
 
 def _needed(n: str, percent: int) -> Column:
     """least_common() of the smallest set that a set of size n may link with."""
-    return F.expr(f"1 + least(40, (({percent} * (({percent} * {n} + 99) div 100) + 99) div 100) div 20)")
+    return F.expr(f"1 + (({percent} * (({percent} * {n} + 99) div 100) + 99) div 100) div 20")
 
 
 def _signed(b: bytes) -> int:
@@ -219,19 +219,24 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     links = settle(_verified(pool.where("id != lead").select(F.col("id").alias("x"), F.col("lead").alias("y")), whole, percent), "links")
     parts = settle(components(links, "x", "y"), "parts")
     for _ in range(rounds):
-        new = settle(_verified(_leaders(pool, active, parts, percent), whole, percent), "new")
-        if new.isEmpty():
+        pairs = settle(_leaders(pool, active, parts, percent).distinct(), "pairs")
+        new = settle(_verified(pairs, whole, percent), "new")
+        tried, linked = pairs.count(), new.count()
+        forget(pairs)
+        if not linked:
             break
         old, links = links, settle(links.unionByName(new), "links")
         forget(old)
         forget(new)
         old, parts = parts, settle(components(links, "x", "y"), "parts")
         forget(old)
+        if linked * 20 < tried:  # what is left is mostly not linked, and compared in full below
+            break
     own = settle(_labelled(pool, parts), "labelled")
     tagged = settle(_bundled(own, active), "bundled")
     large = settle(tagged.select("lead", "part").distinct().groupBy("lead").agg(F.count("*").alias("parts")).where(F.col("parts") >= BUNDLE).select("lead"), "large")
-    pairs = _across(own, tagged.join(large, "lead", "left_anti"), percent)
-    rest = settle(_verified(pairs, whole, percent).unionByName(_in_blocks(own, tagged.join(large, "lead", "left_semi"), whole, percent)), "rest")
+    meetings = _across(own, tagged.join(large, "lead", "left_anti"), percent).unionByName(_same_key(_bundles(own, tagged.join(large, "lead", "left_semi"))))
+    rest = settle(_met(settle(meetings, "meetings"), whole, percent), "rest")
     if not rest.isEmpty():
         parts = components(links.unionByName(rest), "x", "y")
     of_set = sets.join(parts, sets["id"] == parts["node"], "left").select("a", "b", F.coalesce("component", "id").alias("component"))
@@ -263,20 +268,53 @@ def _bundled(own: DataFrame, active: DataFrame) -> DataFrame:
     return run.join(lead, "token").select("lead", "token", "g", "part", "n")
 
 
-def _in_blocks(own: DataFrame, tagged: DataFrame, whole: DataFrame, percent: int) -> DataFrame:
-    """Links (x, y) between parts of one bundle: its sets meet in blocks, and only links leave a task."""
-    members = tagged.select("lead", "g", "part").distinct().join(own.select("id", "g", "part"), ["g", "part"]).select("lead", "id", "part")
-    blocks = members.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
-    placed = members.join(blocks, "lead").withColumn("at", F.pmod(F.xxhash64("id"), F.col("blocks")))
-    each = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    met = each.select("lead", "id", "part", "at", F.least("at", "other").alias("i"), F.greatest("at", "other").alias("j"))
+def _bundles(own: DataFrame, tagged: DataFrame) -> DataFrame:
+    """Meetings of the sets of each bundle with one another."""
+    members = tagged.select("lead", "g", "part").distinct().join(own, ["g", "part"]).select(F.struct(F.lit("bundle"), "lead").alias("key"), "id", "part", "n")
+    return _both_sides(members)
+
+
+def _both_sides(members: DataFrame) -> DataFrame:
+    return members.withColumn("asks", F.explode(F.array(F.lit(True), F.lit(False))))
+
+
+def _across(own: DataFrame, run: DataFrame, percent: int) -> DataFrame:
+    """Meetings of groups with other parts that may hold a linked set, by the given lists."""
+    sizes = own.groupBy("part").agg(F.count("*").alias("size"))
+    run = run.drop("lead").join(sizes, "part")
+    held = run.groupBy("token", "part").agg(F.first("size").alias("size"), F.min("n").alias("low"), F.max("n").alias("high"))
+    other = held.select("token", F.col("part").alias("to_part"), F.col("size").alias("to_size"), "low", "high")
+    may = (F.struct("size", "part") < F.struct("to_size", "to_part")) & (100 * F.col("high") >= percent * F.col("n")) & (percent * F.col("low") <= 100 * F.col("n"))
+    found = run.join(other, "token").where(may).groupBy("g", "part", "to_part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent)).select("g", "part", "to_part")
+    asks = own.join(found, ["g", "part"]).select(F.struct(F.lit("part"), "to_part").alias("key"), "id", "part", "n", F.lit(True).alias("asks"))
+    asked = own.join(found.select(F.col("to_part").alias("part")).distinct(), "part").select(F.struct(F.lit("part"), F.col("part").alias("to_part")).alias("key"), "id", "part", "n", F.lit(False).alias("asks"))
+    # Sets of one group share their whole prefix, whether or not other groups do.
+    mixed = own.groupBy("g").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p != q").select("g")
+    within = _both_sides(own.join(mixed, "g", "left_semi").select(F.struct(F.lit("group"), "g").alias("key"), "id", "part", "n"))
+    return _same_key(asks).unionByName(_same_key(asked)).unionByName(_same_key(within))
+
+
+def _same_key(meetings: DataFrame) -> DataFrame:
+    """The key as two plain columns."""
+    kind, number = meetings.schema["key"].dataType.names
+    return meetings.select(F.col(f"key.{kind}").alias("kind"), F.col(f"key.{number}").alias("number"), "id", "part", "n", "asks")
+
+
+def _met(meetings: DataFrame, whole: DataFrame, percent: int) -> DataFrame:
+    """Links (x, y) between different parts: the sets of a meeting that ask, against the others, in blocks
+    of bounded size inside of tasks; only links leave a task."""
+    key = ["kind", "number"]
+    blocks = lambda side: F.ceil(F.greatest(F.count_if(side) / SETS, F.sum(F.when(side, F.col("n")).otherwise(0)) / SHINGLES, F.lit(1.0)))
+    placed = meetings.join(meetings.groupBy(*key).agg(blocks(F.col("asks")).alias("rows"), blocks(~F.col("asks")).alias("columns")), key)
+    at = F.pmod(F.xxhash64("id"), F.when(F.col("asks"), F.col("rows")).otherwise(F.col("columns")))
+    each = placed.withColumn("at", at).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.when(F.col("asks"), F.col("columns")).otherwise(F.col("rows")) - 1)))
+    sent = each.select(*key, "id", "part", "asks", F.when(F.col("asks"), F.col("at")).otherwise(F.col("other")).alias("i"), F.when(F.col("asks"), F.col("other")).otherwise(F.col("at")).alias("j"))
 
     def compare(t: pa.Table) -> pa.Table:
-        ids, part, at = (t.column(c).to_numpy() for c in ("id", "part", "at"))
-        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        ids, part, asks = (t.column(c).to_numpy() for c in ("id", "part", "asks"))
         sets = [np.frombuffer(x, dtype=_U) for x in t.column("s").to_pylist()]
         sizes = np.array([len(x) for x in sets], dtype=np.int64)
-        a, b = np.flatnonzero(at == i), np.flatnonzero(at == j)
+        a, b = np.flatnonzero(asks), np.flatnonzero(~asks)
         _, code, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
         keep = often[code] > 1  # shingles of one set alone are in no intersection
         code, row = (np.cumsum(often > 1) - 1)[code[keep]], np.repeat(np.arange(len(sets)), sizes)[keep]
@@ -291,27 +329,7 @@ def _in_blocks(own: DataFrame, tagged: DataFrame, whole: DataFrame, percent: int
         x, y = np.nonzero(linked)
         return pa.table({"x": pa.array(ids[a[x]], pa.int64()), "y": pa.array(ids[b[y]], pa.int64())})
 
-    full = met.join(whole.select("id", "s"), "id")
-    return full.groupBy("lead", "i", "j").applyInArrow(compare, "x long, y long")
-
-
-def _across(own: DataFrame, run: DataFrame, percent: int) -> DataFrame:
-    """(x, y): every pair of sets in different parts that may still be linked, by the given lists."""
-    sizes = own.groupBy("part").agg(F.count("*").alias("size"))
-    run = run.drop("lead").join(sizes, "part")
-    held = run.groupBy("token", "part").agg(F.first("size").alias("size"), F.min("n").alias("low"), F.max("n").alias("high"))
-    other = held.select("token", F.col("part").alias("to_part"), F.col("size").alias("to_size"), "low", "high")
-    may = (F.struct("size", "part") < F.struct("to_size", "to_part")) & (100 * F.col("high") >= percent * F.col("n")) & (percent * F.col("low") <= 100 * F.col("n"))
-    found = run.join(other, "token").where(may).groupBy("g", "part", "to_part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent))
-    x = own.select(F.col("id").alias("x"), "g", "part", F.col("n").alias("nx"))
-    y = own.select(F.col("id").alias("y"), F.col("part").alias("to_part"), F.col("n").alias("ny"))
-    fits = (100 * F.col("ny") >= percent * F.col("nx")) & (percent * F.col("ny") <= 100 * F.col("nx"))
-    between = x.join(found.select("g", "part", "to_part"), ["g", "part"]).join(y, "to_part").where(fits).select("x", "y")
-    # Sets of one group share their whole prefix, whether or not other groups do.
-    inner = own.join(own.groupBy("g").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p != q").select("g"), "g", "left_semi")
-    twin = inner.select(F.col("id").alias("y"), "g", F.col("part").alias("to_part"))
-    within = inner.join(twin, "g").where("part < to_part").select(F.col("id").alias("x"), "y")
-    return between.unionByName(within)
+    return sent.join(whole.select("id", "s"), "id").groupBy(*key, "i", "j").applyInArrow(compare, "x long, y long")
 
 
 def keep_one(docs: DataFrame, **options: object) -> DataFrame:
