@@ -1,13 +1,14 @@
 """Byte-level BPE as folds of higher-order functions over byte arrays, with a literal rank map.
 
-Texts are cut by the vocabulary's pattern. The words are counted, and the most frequent ones (at most
-`TABLE`, whatever the corpus) are folded once into a literal word table; a word outside of the table is
-folded where it stands. A fold starts from the bytes of the word, as an array of hexadecimal pieces, and
-merges the leftmost pair of least rank until no pair has a rank; a word that has a rank itself is that
-id. Words of more than `LONG` bytes, whose fold would take quadratic time, are merged by the vocabulary's
-library, exactly alike. Decoding looks up the bytes of each id and concatenates them.
+Texts are cut by the vocabulary's pattern. A fold starts from the bytes of a word, as an array of
+hexadecimal pieces, and merges the leftmost pair of least rank until no pair has a rank; a word that has
+a rank itself is that id. The words are counted, and the most frequent ones (at most `TABLE`, whatever
+the corpus) are folded once; tasks remember them, and fold a document's other distinct words where they
+stand. Words of more than `LONG` bytes, whose fold would take quadratic time, are merged by the
+vocabulary's library, exactly alike. Decoding looks up the bytes of each id and concatenates them.
 
-Both tables are arrays of short strings, one for each value of a hash, so a look-up reads one bucket.
+The rank map is a literal array of short strings, one for each value of a hash, so a look-up reads one
+bucket.
 
 Defined results: a null text is an empty one and has no ids; repeated rows are encoded each; an empty
 table gives no rows. Columns other than the named ones are not read.
@@ -15,10 +16,13 @@ table gives no rows. Columns other than the named ones are not read.
 
 from __future__ import annotations
 
+import functools
+import hashlib
 import zlib
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,7 +31,7 @@ from galoislake.llm.vocab import byte_encoder, ranks, split_pattern, vocabulary_
 
 TABLE = 400_000
 LONG = 64
-_RANK_BUCKETS, _WORD_BUCKETS = 1 << 16, 1 << 19
+_RANK_BUCKETS = 1 << 16
 _NONE = 1 << 30
 
 
@@ -61,16 +65,13 @@ def _look_up(buckets: Column, count: int, key: Column, start: str, between: str)
 
 
 class Coder:
-    """Columns that encode words and decode ids by one vocabulary file."""
+    """The fold of one vocabulary file, as a column."""
 
     def __init__(self, path: str):
         self.path = path
         by_bytes = ranks(path)
-        self._ranks = _bucketed([(k.hex().upper(), str(v)) for k, v in by_bytes.items()], _RANK_BUCKETS, "|", ":", ",")
-        of_id = [""] * (max(by_bytes.values()) + 1)
-        for token, rank in by_bytes.items():
-            of_id[rank] = token.hex().upper()
-        self._bytes = _literal(of_id, ",")
+        items = [(k.hex().upper(), str(v)) for k, v in by_bytes.items()]
+        self._ranks = _bucketed(items, _RANK_BUCKETS, "|", ":", ",")
 
     def rank(self, piece: Column) -> Column:
         return _look_up(self._ranks, _RANK_BUCKETS, piece, "|", ":").cast("int")
@@ -102,21 +103,6 @@ class Coder:
 
         return _let(F.hex(word), spelled)
 
-    def merged_by_library(self, words: Column) -> Column:
-        path, split = self.path, split_pattern()
-
-        @F.pandas_udf("array<string>")
-        def merged(column: pd.Series) -> pd.Series:
-            encode = byte_encoder(path, split)[0]._encode_single_piece
-            return pd.Series([[" ".join(map(str, encode(w.encode()))) for w in some] for some in column], dtype="object")
-
-        return merged(words)
-
-    def decode(self, ids: Column) -> Column:
-        """The bytes of ids joined by blanks."""
-        pieces = F.transform(F.split(ids, " "), lambda i: F.get(self._bytes, i.cast("int")))
-        return F.when(F.length(ids) > 0, F.unhex(F.array_join(pieces, ""))).otherwise(F.lit(b""))
-
 
 def words_of(text: Column) -> Column:
     return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(pattern()), F.lit(0))
@@ -135,20 +121,88 @@ def frequent_words(docs: DataFrame, most: int, *, text: str = "text") -> DataFra
     return counts.where(F.col("n") >= least).select("word") if least else counts.select("word").limit(0)
 
 
-def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, Coder]:
-    """doc_id and ids (joined by blanks) of every row, and the coder."""
-    coder = Coder(vocabulary or vocabulary_path("byte_bpe_50k.tiktoken"))
-    known = frequent_words(docs, most, text=text).where(~F.col("word").rlike("[\x01-\x03]")).select("word", coder.fold(F.col("word")).alias("ids")).toArrow()  # at most `most` rows
-    buckets = _bucketed(list(zip(known.column(0).to_pylist(), known.column(1).to_pylist(), strict=True)), _WORD_BUCKETS, "\x01", "\x02", "\x03")
-    del known
-    long = lambda w: F.octet_length(w) > LONG
-    cut = docs.select(F.col(doc_id).alias("doc_id"), words_of(F.col(text)).alias("words"))
-    cut = cut.withColumn("long", F.array_distinct(F.filter("words", long))).withColumn("long_ids", coder.merged_by_library(F.col("long")))
-    one = lambda w: F.when(long(w), F.get("long_ids", F.array_position("long", w).cast("int") - 1)).otherwise(F.coalesce(_look_up(buckets, _WORD_BUCKETS, w, "\x01", "\x02"), coder.fold(w)))
-    return cut.select("doc_id", F.array_join(F.transform("words", one), " ").alias("ids")), coder
+@functools.cache
+def _token_bytes(path: str) -> list[bytes]:
+    by_bytes = ranks(path)
+    out = [b""] * (max(by_bytes.values()) + 1)
+    for token, rank in by_bytes.items():
+        out[rank] = token
+    return out
+
+
+def _packed(ids: str) -> bytes:
+    return np.array(ids.split(" "), dtype="<i4").tobytes()
+
+
+def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc_id and ids (binary, little-endian int32) of every row."""
+    path, cut_by = vocabulary or vocabulary_path("byte_bpe_50k.tiktoken"), split_pattern()
+    coder, spark = Coder(path), docs.sparkSession
+    table_ = frequent_words(docs, most, text=text).select("word", coder.fold(F.col("word")).alias("ids")).toArrow()  # at most `most` rows
+    known = spark.sparkContext.broadcast(dict(zip(table_.column(0).to_pylist(), map(_packed, table_.column(1).to_pylist()), strict=True)))
+    del table_
+
+    def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Ids of the words that are remembered or long; -1, -2, ... for the document's other words."""
+        import regex
+
+        words, get, library = regex.compile(cut_by).findall, known.value.get, byte_encoder(path, cut_by)[0]
+        for b in batches:
+            coded, new = [], []
+            for t in b.column(1):
+                every = words(t.as_py() or "")
+                parts, others = [get(w) for w in every], {}
+                if None in parts:
+                    for i, p in enumerate(parts):
+                        if p is None:
+                            w = every[i]
+                            raw = w.encode()
+                            parts[i] = np.array(library._encode_single_piece(raw), "<i4").tobytes() if len(raw) > LONG else others.setdefault(w, (-1 - len(others)).to_bytes(4, "little", signed=True))
+                coded.append(b"".join(parts))
+                new.append(list(others))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(coded, pa.binary()), pa.array(new, pa.list_(pa.string()))], names=["doc_id", "coded", "new"])
+
+    def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = [_filled(c, words) for c, words in zip(b.column("coded").to_pylist(), b.column("folded").to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], names=["doc_id", "ids"])
+
+    kind = docs.schema[doc_id].dataType.simpleString()
+    found = docs.select(doc_id, text).mapInArrow(look_up, f"doc_id {kind}, coded binary, new array<string>")
+    folded = found.select("doc_id", "coded", F.transform("new", coder.fold).alias("folded"))
+    return folded.mapInArrow(fill, f"doc_id {kind}, ids binary")
+
+
+def _filled(coded: bytes, words: list[str]) -> bytes:
+    """coded with the ids of the document's own words in their places."""
+    if not words:
+        return coded
+    ids, own = np.frombuffer(coded, "<i4"), [_packed(w) for w in words]
+    at = np.flatnonzero(ids < 0)
+    parts, before = [], 0
+    for i, k in zip(at.tolist(), (-1 - ids[at]).tolist(), strict=True):
+        parts += (coded[4 * before : 4 * i], own[k])
+        before = i + 1
+    return b"".join([*parts, coded[4 * before :]])
+
+
+def decode(ids: bytes, path: str) -> bytes:
+    """The bytes of the ids, piece after piece."""
+    pieces = _token_bytes(path)
+    return b"".join([pieces[i] for i in np.frombuffer(ids, "<i4").tolist()])
 
 
 def op7_byte_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    coded, coder = encode(table(spark, sf_dir, "documents"))
-    n = F.when(F.length("ids") > 0, F.length("ids") - F.length(F.translate("ids", " ", "")) + 1).otherwise(0)
-    return coded.select("doc_id", n.cast("long").alias("n_tokens"), F.sha2(F.col("ids").cast("binary"), 256).alias("ids_sha256"), F.sha2(coder.decode(F.col("ids")), 256).alias("decoded_sha256"))
+    path = vocabulary_path("byte_bpe_50k.tiktoken")
+
+    def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sha = lambda b: hashlib.sha256(b).hexdigest()
+        for b in batches:
+            ids = b.column(1).to_pylist()
+            spelled = [sha(" ".join(map(str, np.frombuffer(c, "<i4").tolist())).encode()) for c in ids]
+            columns = [b.column(0), pa.array([len(c) // 4 for c in ids], pa.int64()), pa.array(spelled, pa.string()), pa.array([sha(decode(c, path)) for c in ids], pa.string())]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+    coded = encode(table(spark, sf_dir, "documents"), path)
+    kind = coded.schema["doc_id"].dataType.simpleString()
+    return coded.mapInArrow(digest, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
