@@ -25,7 +25,7 @@ from galoislake.llm.vocab import vocabulary_path, word_encoder
 
 CAPACITY = 2048
 SLACK = 4  # a bin with at most so many free places is done
-AT_ONCE = 200_000  # pieces that a task packs together
+AT_ONCE = 50_000  # pieces that a task packs together
 BINS_AT_ONCE = 8_000  # underfull bins that a task of a later round packs together
 _BIN = 1 << 32
 

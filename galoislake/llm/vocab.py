@@ -52,7 +52,7 @@ class WordEncoder:
     letter, pieces by the file's pattern, then merges. Only the merges run in the library, once for each
     word not remembered; so the result equals encoding the whole text."""
 
-    WORDS = 150_000
+    WORDS = 100_000
     # Fixed value: the pattern stated in the vocabulary file.
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
