@@ -9,9 +9,9 @@ Lists may be long where thousands of documents are near copies, so pairs within
 written out. Rounds first compare each group with one leader it shares most with, verify the members'
 sets and contract what is linked; rounds go on while they find links. What then shares prefix shingles
 across different components is compared in full, so no link between components is lost. Lists led by
-one component make a bundle. The sets of a bundle of many components meet one another; in the other
-lists, a group meets each component with which it shares at least `c` shingles. Meetings are held inside
-of tasks, block by block of whole sets, and only links leave a task.
+one component make a bundle, and groups that stand in enough of its lists are members: their sets meet
+one another. Any other group meets each component with which it shares at least `c` shingles. Meetings
+are held inside of tasks, block by block of whole sets, and only links leave a task.
 
 Nothing but the heavy shingles (at most HEAVY, only an order) and a bit map of fixed size is sent to
 tasks. Defined results: null and empty texts, and texts of white space, have no shingles and link with
@@ -22,6 +22,7 @@ repeated rows get the same component; an empty table gives no rows. Other column
 from __future__ import annotations
 
 import hashlib
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,14 +30,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import forget, settle, table
+from galoislake.llm.common import forget, settle, shared_dir, table
 from galoislake.llm.graph import components
 
 WORDS, PERCENT = 5, 80
 HEAVY = 200_000  # shingles that end the order; which ones they are changes the cost, never the result
 CHUNK, LOCAL = 1 << 21, 5  # shingles that a task counts together; a count that makes one a candidate
 ROUNDS = 4
-BUNDLE = 64  # components from which on a bundle is compared in blocks
 SETS, SHINGLES = 512, 500_000  # bounds of one side of a block
 _BITS = 1 << 26
 _U = np.uint64
@@ -180,6 +180,15 @@ def _whole_sets(docs: DataFrame, pool: DataFrame, doc_id: str, text: str, words:
     return found.join(pool.select("id", "a", "b"), ["id", "a", "b"], "left_semi").dropDuplicates(["id"])
 
 
+def _bucketed(sets: DataFrame) -> DataFrame:
+    """The whole sets as a table dealt by id, so that later joins by id leave them where they are."""
+    spark = sets.sparkSession
+    name = f"galoislake_sets_{uuid.uuid4().hex}"
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    sets.repartition(buckets, "id").write.bucketBy(buckets, "id").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    return spark.table(name)
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Those (x, y) whose whole sets are similar enough."""
 
@@ -212,7 +221,7 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     grouped = sets.join(counts, "g", "left").withColumn("enough", F.coalesce(F.col("c") >= _needed("n", percent), F.lit(False)))
     several = sets.groupBy("g").agg(F.count("*").alias("sets"), F.min("id").alias("lead")).where("sets > 1")
     pool = settle(grouped.join(several, "g", "left").where("enough OR sets > 1").select("id", "a", "b", "n", "g", "enough", "lead"), "pool")
-    whole = settle(_whole_sets(docs, pool, doc_id, text, words), "whole")
+    whole = _bucketed(_whole_sets(docs, pool, doc_id, text, words))
     active = settle(shared.join(pool.where("enough").select("g").distinct(), "g", "left_semi"), "active")
     forget(shared)
 
@@ -233,9 +242,8 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
         if linked * 20 < tried:  # what is left is mostly not linked, and compared in full below
             break
     own = settle(_labelled(pool, parts), "labelled")
-    tagged = settle(_bundled(own, active), "bundled")
-    large = settle(tagged.select("lead", "part").distinct().groupBy("lead").agg(F.count("*").alias("parts")).where(F.col("parts") >= BUNDLE).select("lead"), "large")
-    meetings = _across(own, tagged.join(large, "lead", "left_anti"), percent).unionByName(_same_key(_bundles(own, tagged.join(large, "lead", "left_semi"))))
+    tagged = settle(_bundled(own, active, percent), "bundled")
+    meetings = _across(own, tagged, percent).unionByName(_bundles(own, tagged))
     rest = settle(_met(settle(meetings, "meetings"), whole, percent), "rest")
     if not rest.isEmpty():
         parts = components(links.unionByName(rest), "x", "y")
@@ -261,17 +269,22 @@ def _leaders(pool: DataFrame, active: DataFrame, parts: DataFrame, percent: int)
     return own.join(best, ["g", "part"]).select(F.col("id").alias("x"), "y")
 
 
-def _bundled(own: DataFrame, active: DataFrame) -> DataFrame:
-    """The lists that hold several parts, each with the least of them as its lead."""
+def _bundled(own: DataFrame, active: DataFrame, percent: int) -> DataFrame:
+    """The lists that hold several parts, each with the least of them as its lead. The lists of one lead
+    are its bundle; a group that stands in enough of them is a member."""
     run = active.join(own.groupBy("g", "part").agg(F.max("n").alias("n")), "g")
     lead = run.groupBy("token").agg(F.min("part").alias("lead"), F.max("part").alias("last")).where("lead != last").select("token", "lead")
-    return run.join(lead, "token").select("lead", "token", "g", "part", "n")
+    rows = run.join(lead, "token").select("lead", "token", "g", "part", "n")
+    members = rows.groupBy("lead", "g", "part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent)).select("lead", "g", "part", F.lit(True).alias("member"))
+    return rows.join(members, ["lead", "g", "part"], "left").withColumn("member", F.coalesce("member", F.lit(False)))
 
 
 def _bundles(own: DataFrame, tagged: DataFrame) -> DataFrame:
-    """Meetings of the sets of each bundle with one another."""
-    members = tagged.select("lead", "g", "part").distinct().join(own, ["g", "part"]).select(F.struct(F.lit("bundle"), "lead").alias("key"), "id", "part", "n")
-    return _both_sides(members)
+    """Meetings of the members of each bundle with one another."""
+    members = tagged.where("member").select("lead", "g", "part").distinct()
+    several = members.groupBy("lead").agg(F.min("part").alias("p"), F.max("part").alias("q")).where("p != q").select("lead")
+    sets = members.join(several, "lead", "left_semi").join(own, ["g", "part"])
+    return _same_key(_both_sides(sets.select(F.struct(F.lit("bundle"), "lead").alias("key"), "id", "part", "n")))
 
 
 def _both_sides(members: DataFrame) -> DataFrame:
@@ -279,13 +292,14 @@ def _both_sides(members: DataFrame) -> DataFrame:
 
 
 def _across(own: DataFrame, run: DataFrame, percent: int) -> DataFrame:
-    """Meetings of groups with other parts that may hold a linked set, by the given lists."""
+    """Meetings of groups with other parts that may hold a linked set. Members of one bundle meet there."""
     sizes = own.groupBy("part").agg(F.count("*").alias("size"))
     run = run.drop("lead").join(sizes, "part")
-    held = run.groupBy("token", "part").agg(F.first("size").alias("size"), F.min("n").alias("low"), F.max("n").alias("high"))
-    other = held.select("token", F.col("part").alias("to_part"), F.col("size").alias("to_size"), "low", "high")
+    held = run.groupBy("token", "part", "member").agg(F.first("size").alias("size"), F.min("n").alias("low"), F.max("n").alias("high"))
+    other = held.select("token", F.col("part").alias("to_part"), F.col("size").alias("to_size"), "low", "high", F.col("member").alias("to_member"))
     may = (F.struct("size", "part") < F.struct("to_size", "to_part")) & (100 * F.col("high") >= percent * F.col("n")) & (percent * F.col("low") <= 100 * F.col("n"))
-    found = run.join(other, "token").where(may).groupBy("g", "part", "to_part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent)).select("g", "part", "to_part")
+    pairs = run.where("NOT member").join(other, "token").where(may).unionByName(run.where("member").join(other.where("NOT to_member"), "token").where(may))
+    found = pairs.groupBy("g", "part", "to_part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent)).select("g", "part", "to_part")
     asks = own.join(found, ["g", "part"]).select(F.struct(F.lit("part"), "to_part").alias("key"), "id", "part", "n", F.lit(True).alias("asks"))
     asked = own.join(found.select(F.col("to_part").alias("part")).distinct(), "part").select(F.struct(F.lit("part"), F.col("part").alias("to_part")).alias("key"), "id", "part", "n", F.lit(False).alias("asks"))
     # Sets of one group share their whole prefix, whether or not other groups do.
