@@ -177,7 +177,11 @@ def _whole_sets(docs: DataFrame, pool: DataFrame, doc_id: str, text: str, words:
     ids = F.col(doc_id).cast("long")
     read = docs.where(F.col(doc_id).isNotNull()).select(ids.alias("id"), F.col(text), bit(ids).alias("bit"))
     found = read.mapInArrow(run, "id long, a long, b long, s binary")
-    return found.join(pool.select("id", "a", "b"), ["id", "a", "b"], "left_semi").dropDuplicates(["id"])
+    # Dealt once, by id: the digests are compared as a filter, so that they are no keys of the join.
+    own = pool.select(F.col("id").alias("pool_id"), F.col("a").alias("pool_a"), F.col("b").alias("pool_b"))
+    same = (F.col("id") == F.col("pool_id")) & (F.col("a").bitwiseXOR(F.col("pool_a")) == 0) & (F.col("b").bitwiseXOR(F.col("pool_b")) == 0)
+    buckets = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return found.repartition(buckets, "id").join(own, same, "left_semi").dropDuplicates(["id"])
 
 
 def _bucketed(sets: DataFrame) -> DataFrame:
@@ -185,7 +189,7 @@ def _bucketed(sets: DataFrame) -> DataFrame:
     spark = sets.sparkSession
     name = f"galoislake_sets_{uuid.uuid4().hex}"
     buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    sets.repartition(buckets, "id").write.bucketBy(buckets, "id").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    sets.write.bucketBy(buckets, "id").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
     return spark.table(name)
 
 
