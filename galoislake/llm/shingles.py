@@ -184,12 +184,12 @@ def _whole_sets(docs: DataFrame, pool: DataFrame, doc_id: str, text: str, words:
     return found.repartition(buckets, "id").join(own, same, "left_semi").dropDuplicates(["id"])
 
 
-def _bucketed(sets: DataFrame) -> DataFrame:
-    """The whole sets as a table dealt by id, so that later joins by id leave them where they are."""
-    spark = sets.sparkSession
-    name = f"galoislake_sets_{uuid.uuid4().hex}"
+def _dealt(df: DataFrame, by: str, again: bool = True) -> DataFrame:
+    """df as a table dealt by a column, so that later joins by it leave its rows where they are."""
+    spark = df.sparkSession
+    name = f"galoislake_{by}_{uuid.uuid4().hex}"
     buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    sets.write.bucketBy(buckets, "id").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    (df.repartition(buckets, by) if again else df).write.bucketBy(buckets, by).option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
     return spark.table(name)
 
 
@@ -225,8 +225,8 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
     grouped = sets.join(counts, "g", "left").withColumn("enough", F.coalesce(F.col("c") >= _needed("n", percent), F.lit(False)))
     several = sets.groupBy("g").agg(F.count("*").alias("sets"), F.min("id").alias("lead")).where("sets > 1")
     pool = settle(grouped.join(several, "g", "left").where("enough OR sets > 1").select("id", "a", "b", "n", "g", "enough", "lead"), "pool")
-    whole = _bucketed(_whole_sets(docs, pool, doc_id, text, words))
-    active = settle(shared.join(pool.where("enough").select("g").distinct(), "g", "left_semi"), "active")
+    whole = _dealt(_whole_sets(docs, pool, doc_id, text, words), "id", again=False)
+    active = _dealt(shared.join(pool.where("enough").select("g").distinct(), "g", "left_semi"), "g")
     forget(shared)
 
     links = settle(_verified(pool.where("id != lead").select(F.col("id").alias("x"), F.col("lead").alias("y")), whole, percent), "links")
@@ -243,10 +243,10 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS,
         forget(new)
         old, parts = parts, settle(components(links, "x", "y"), "parts")
         forget(old)
-        if linked * 20 < tried:  # what is left is mostly not linked, and compared in full below
+        if linked * 2 < tried:  # what is left is mostly not linked, and compared in full below
             break
     own = settle(_labelled(pool, parts), "labelled")
-    tagged = settle(_bundled(own, active, percent), "bundled")
+    tagged = _dealt(_bundled(own, active, percent), "token")
     meetings = _across(own, tagged, percent).unionByName(_bundles(own, tagged))
     rest = settle(_met(settle(meetings, "meetings"), whole, percent), "rest")
     if not rest.isEmpty():
@@ -276,11 +276,11 @@ def _leaders(pool: DataFrame, active: DataFrame, parts: DataFrame, percent: int)
 def _bundled(own: DataFrame, active: DataFrame, percent: int) -> DataFrame:
     """The lists that hold several parts, each with the least of them as its lead. The lists of one lead
     are its bundle; a group that stands in enough of them is a member."""
-    run = active.join(own.groupBy("g", "part").agg(F.max("n").alias("n")), "g")
+    sizes = own.groupBy("part").agg(F.count("*").alias("size"))
+    run = active.join(own.groupBy("g", "part").agg(F.max("n").alias("n")).join(sizes, "part"), "g")
     lead = run.groupBy("token").agg(F.min("part").alias("lead"), F.max("part").alias("last")).where("lead != last").select("token", "lead")
-    rows = run.join(lead, "token").select("lead", "token", "g", "part", "n")
-    members = rows.groupBy("lead", "g", "part").agg(F.count("*").alias("c"), F.first("n").alias("n")).where(F.col("c") >= _needed("n", percent)).select("lead", "g", "part", F.lit(True).alias("member"))
-    return rows.join(members, ["lead", "g", "part"], "left").withColumn("member", F.coalesce("member", F.lit(False)))
+    own_lists = F.count("*").over(Window.partitionBy("lead", "g", "part"))
+    return run.join(lead, "token").withColumn("member", own_lists >= _needed("n", percent)).select("lead", "token", "g", "part", "n", "size", "member")
 
 
 def _bundles(own: DataFrame, tagged: DataFrame) -> DataFrame:
@@ -297,8 +297,6 @@ def _both_sides(members: DataFrame) -> DataFrame:
 
 def _across(own: DataFrame, run: DataFrame, percent: int) -> DataFrame:
     """Meetings of groups with other parts that may hold a linked set. Members of one bundle meet there."""
-    sizes = own.groupBy("part").agg(F.count("*").alias("size"))
-    run = run.drop("lead").join(sizes, "part")
     held = run.groupBy("token", "part", "member").agg(F.first("size").alias("size"), F.min("n").alias("low"), F.max("n").alias("high"))
     other = held.select("token", F.col("part").alias("to_part"), F.col("size").alias("to_size"), "low", "high", F.col("member").alias("to_member"))
     may = (F.struct("size", "part") < F.struct("to_size", "to_part")) & (100 * F.col("high") >= percent * F.col("n")) & (percent * F.col("low") <= 100 * F.col("n"))
