@@ -77,9 +77,16 @@ for _name, _grouped, _by in (
         lambda spark, sf_dir, context, mined, g=_grouped: _shown(g(spark, _banded(mined, spark, sf_dir))),
         oracle.concepts("document_meta", f"SELECT coalesce(band, 'all') AS band, coalesce(size, -1) AS size, n FROM (SELECT band, size, count(*) AS n FROM ({_BANDED}) GROUP BY {_by})"),
     )
-_RANKED = Window.partitionBy("size").orderBy(F.desc("support"), "intent")
+
+
+def _ranks(spark, sf_dir, context, mined):
+    own = Window.partitionBy("size")
+    places = mined(spark, sf_dir, "session_mix").strings().select("intent", "size", F.row_number().over(own.orderBy(F.desc("support"), "intent")).alias("place"), F.dense_rank().over(own.orderBy(F.desc("support"))).alias("level"))
+    return places.where("place <= 5")
+
+
 QUERIES["ranks_within_size"] = (
-    lambda spark, sf_dir, context, mined: mined(spark, sf_dir, "session_mix").strings().select("intent", "size", F.row_number().over(_RANKED).alias("place"), F.dense_rank().over(Window.partitionBy("size").orderBy(F.desc("support"))).alias("level")).where("place <= 5"),
+    _ranks,
     oracle.concepts("session_mix", "SELECT intent, size, CAST(row_number() OVER (PARTITION BY size ORDER BY support DESC, intent) AS INT) AS place, CAST(dense_rank() OVER (PARTITION BY size ORDER BY support DESC) AS INT) AS level FROM con QUALIFY place <= 5"),
 )
 
