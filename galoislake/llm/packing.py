@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import forget, settle, table
+from galoislake.llm.common import forget, settle, table, tidied
 from galoislake.llm.vocab import vocabulary_path, word_encoder
 
 CAPACITY = 2048
@@ -79,7 +79,7 @@ def pieces_of(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, at_onc
             yield _packed(rows, first, capacity)[0]
 
     kind = docs.schema[doc_id].dataType.simpleString()
-    return docs.select(doc_id, text).mapInArrow(run, f"doc_id {kind}, piece int, start long, length long, ids_crc32 long, bin long, place long, filled int")
+    return docs.select(doc_id, text).mapInArrow(tidied(run), f"doc_id {kind}, piece int, start long, length long, ids_crc32 long, bin long, place long, filled int")
 
 
 def _packed(rows: list[tuple], first: int, capacity: int) -> tuple[pa.RecordBatch, int]:

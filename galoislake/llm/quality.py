@@ -24,9 +24,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import held_out, table
+from galoislake.llm.common import held_out, release, table
 
-SLICE = 256
+SLICE = 64
 _LOWER, _UPPER, _DIGIT, _SPACE, _LINE, _STOP, _BANG, _BAR, _SYMBOL, _OTHER = range(10)
 _CLASSES = 10
 
@@ -200,7 +200,9 @@ def score_column(model: Discriminant, text: str | Column = "text") -> Column:
 
     @F.pandas_udf("double")
     def score(texts: pd.Series) -> pd.Series:
-        return pd.Series(model.scores(statistics(texts.tolist())), dtype="float64")
+        out = pd.Series(model.scores(statistics(texts.tolist())), dtype="float64")
+        release()
+        return out
 
     return score(F.col(text) if isinstance(text, str) else text)
 

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import table
+from galoislake.llm.common import table, tidied
 
 # The words that announce a secret, the kinds of spans and their least lengths.
 KEYWORDS = ("password", "passwd", "secret", "token", "api_?key")
@@ -221,7 +221,7 @@ def _samples(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, *, text: str = "text") -> Field | None:
     """Train on at most `most` chunks, those with the smallest hashes among all documents' chunks."""
-    rows = docs.select(F.col(text)).mapInArrow(_samples, "rank long, x array<array<int>>, y array<int>")
+    rows = docs.select(F.col(text)).mapInArrow(tidied(_samples), "rank long, x array<array<int>>, y array<int>")
     some = rows.orderBy("rank", F.hash("x", "y"), F.to_json("x")).limit(most).select("x", "y").toArrow().to_pydict()
     return train([(x, y) for x, y in zip(some["x"], some["y"], strict=True)])
 

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import forget, settle, shared_dir, table
+from galoislake.llm.common import forget, release, settle, shared_dir, table, tidied
 from galoislake.llm.graph import components
 
 WORDS, PERCENT = 5, 80
@@ -117,7 +117,7 @@ def heavy_shingles(docs: DataFrame, text: str, words: int, most: int = HEAVY) ->
         token, n = np.unique(np.concatenate(held), return_counts=True)
         return pa.RecordBatch.from_pydict({"token": pa.array(token[n >= LOCAL].view(np.int64)), "n": pa.array(n[n >= LOCAL])})
 
-    rows = docs.select(text).mapInArrow(run, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "token").limit(most)
+    rows = docs.select(text).mapInArrow(tidied(run), "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "token").limit(most)
     return rows.select("token").toArrow().column(0).to_numpy()[::-1].astype(np.int64).view(_U)
 
 
@@ -152,7 +152,7 @@ def _sets(docs: DataFrame, heavy: np.ndarray, doc_id: str, text: str, words: int
                 lists = pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array(np.concatenate(prefix)))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(g, pa.int64()), lists], names=["id", "n", "a", "b", "g", "prefix"])
 
-    return docs.select(F.col(doc_id).cast("long"), text).mapInArrow(run, "id long, n long, a long, b long, g long, prefix array<long>")
+    return docs.select(F.col(doc_id).cast("long"), text).mapInArrow(tidied(run), "id long, n long, a long, b long, g long, prefix array<long>")
 
 
 def _whole_sets(docs: DataFrame, pool: DataFrame, doc_id: str, text: str, words: int) -> DataFrame:
@@ -176,7 +176,7 @@ def _whole_sets(docs: DataFrame, pool: DataFrame, doc_id: str, text: str, words:
 
     ids = F.col(doc_id).cast("long")
     read = docs.where(F.col(doc_id).isNotNull()).select(ids.alias("id"), F.col(text), bit(ids).alias("bit"))
-    found = read.mapInArrow(run, "id long, a long, b long, s binary")
+    found = read.mapInArrow(tidied(run), "id long, a long, b long, s binary")
     # Dealt once, by id: the digests are compared as a filter, so that they are no keys of the join.
     own = pool.select(F.col("id").alias("pool_id"), F.col("a").alias("pool_a"), F.col("b").alias("pool_b"))
     same = (F.col("id") == F.col("pool_id")) & (F.col("a").bitwiseXOR(F.col("pool_a")) == 0) & (F.col("b").bitwiseXOR(F.col("pool_b")) == 0)
@@ -209,7 +209,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
     one = sets.select(F.col("id").alias("x"), "s")
     two = sets.select(F.col("id").alias("y"), F.col("s").alias("t"))
-    return pairs.distinct().join(one, "x").join(two, "y").select("x", "y", "s", "t").mapInArrow(run, "x long, y long")
+    return pairs.distinct().join(one, "x").join(two, "y").select("x", "y", "s", "t").mapInArrow(tidied(run), "x long, y long")
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS, rounds: int = ROUNDS, heavy: int = HEAVY, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -343,6 +343,8 @@ def _met(meetings: DataFrame, whole: DataFrame, percent: int) -> DataFrame:
         linked = 100 * both >= percent * (sizes[a][:, None] + sizes[b][None] - both)
         linked &= part[a][:, None] != part[b][None]
         x, y = np.nonzero(linked)
+        if len(sets) > 200:
+            release()
         return pa.table({"x": pa.array(ids[a[x]], pa.int64()), "y": pa.array(ids[b[y]], pa.int64())})
 
     return sent.join(whole.select("id", "s"), "id").groupBy(*key, "i", "j").applyInArrow(compare, "x long, y long")

@@ -60,8 +60,7 @@ class WordEncoder:
         import regex
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
-        self._whole = Tokenizer.from_file(path)
-        self._whole.encode_special_tokens = True
+        self._path, self._whole = path, None
         self._merges = Tokenizer.from_file(path)
         self._merges.encode_special_tokens = True
         self._merges.normalizer = normalizers.Sequence([])
@@ -77,6 +76,11 @@ class WordEncoder:
 
     def ids(self, text: str) -> bytes:
         if not text.isascii() and not _AGREED.fullmatch(text):
+            if self._whole is None:
+                from tokenizers import Tokenizer
+
+                self._whole = Tokenizer.from_file(self._path)
+                self._whole.encode_special_tokens = True
             return np.array(self._whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
         known = self._known
         words = self.words(text)
