@@ -9,8 +9,11 @@ import unicodedata
 
 import numpy as np
 
-# Letters and marks that every Unicode version of the libraries classes alike; other texts are encoded whole.
-_AGREED = re.compile("[\\x00-\u024f\u0391-\u03a1\u03a3-\u03c9\u0410-\u044f\u2010-\u2027\u3041-\u3096\u30a1-\u30fa\u4e00-\u9fa5]*")
+# Characters that all Unicode versions and both regular expression libraries class alike, which leaves out
+# superscripts and fractions; texts with others are encoded whole.
+_AGREED = re.compile("[\\x00-\u00b1\u00b4-\u00b8\u00ba\u00bb\u00bf-\u024f\u0391-\u03a1\u03a3-\u03c9\u0410-\u044f\u2010-\u2027\u3041-\u3096\u30a1-\u30fa\u4e00-\u9fa5]*")
+
+_SEPARATORS = "\x1c\x1d\x1e\x1f\x85"  # white space to one of the libraries only
 
 
 def vocabulary_path(name: str, folder: str | None = None) -> str:
@@ -52,12 +55,11 @@ class WordEncoder:
     letter, pieces by the file's pattern, then merges. Only the merges run in the library, once for each
     word not remembered; so the result equals encoding the whole text."""
 
-    WORDS = 100_000
-    # Fixed value: the pattern stated in the vocabulary file.
-    PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+    WORDS = 200_000
+    # The vocabulary file's pattern for the texts that _AGREED admits: letters, single digits, other marks.
+    PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+"
 
     def __init__(self, path: str):
-        import regex
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
         self._path, self._whole = path, None
@@ -65,7 +67,7 @@ class WordEncoder:
         self._merges.encode_special_tokens = True
         self._merges.normalizer = normalizers.Sequence([])
         self._merges.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
-        self._pieces = regex.compile(self.PATTERN).findall
+        self._pieces = re.compile(self.PATTERN).findall
         self._known: dict[str, bytes] = {}
         self._before: dict[str, bytes] = {}
 
@@ -75,33 +77,30 @@ class WordEncoder:
         return self._pieces(text.lower())
 
     def ids(self, text: str) -> bytes:
-        if not text.isascii() and not _AGREED.fullmatch(text):
+        if not text.isascii() and not _AGREED.fullmatch(text) or any(c in text for c in _SEPARATORS):
             if self._whole is None:
                 from tokenizers import Tokenizer
 
                 self._whole = Tokenizer.from_file(self._path)
                 self._whole.encode_special_tokens = True
             return np.array(self._whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        known = self._known
         words = self.words(text)
-        try:
-            return b"".join([known[w] for w in words])
-        except KeyError:
-            if len(known) > self.WORDS:  # the words of the generation before are still looked up
-                self._before, self._known = known, {}
-                known = self._known
-            old, new = self._before, []
-            for w in set(words):
-                if w not in known:
-                    if w in old:
-                        known[w] = old[w]
-                    else:
-                        new.append(w)
-            for low in range(0, len(new), 4096):
-                some = new[low : low + 4096]
-                for w, e in zip(some, self._merges.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                    known[w] = np.array(e.ids, "<u4").tobytes()
-            return b"".join([known[w] for w in words])
+        parts = list(map(self._known.get, words))
+        if None not in parts:
+            return b"".join(parts)
+        if len(self._known) > self.WORDS:  # the words of the generation before are still looked up
+            self._before, self._known = self._known, {}
+        known, old, new = self._known, self._before, []
+        for w in {w for w, p in zip(words, parts, strict=True) if p is None}:
+            if w in old:
+                known[w] = old[w]
+            else:
+                new.append(w)
+        for low in range(0, len(new), 4096):
+            some = new[low : low + 4096]
+            for w, e in zip(some, self._merges.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                known[w] = np.array(e.ids, "<u4").tobytes()
+        return b"".join([known[w] if p is None else p for w, p in zip(words, parts, strict=True)])
 
 
 @functools.cache
