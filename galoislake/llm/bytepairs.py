@@ -1,14 +1,15 @@
 """Byte-level BPE as folds of higher-order functions over byte arrays, with a literal rank map.
 
-Texts are cut by the vocabulary's pattern. A fold starts from the bytes of a word, as an array of
-hexadecimal pieces, and merges the leftmost pair of least rank until no pair has a rank; a word that has
-a rank itself is that id. The words are counted, and the most frequent ones (at most `TABLE`, whatever
-the corpus) are folded once; tasks remember them, and fold a document's other distinct words where they
-stand. Words of more than `LONG` bytes, whose fold would take quadratic time, are merged by the
-vocabulary's library, exactly alike. Decoding looks up the bytes of each id and concatenates them.
+Texts are cut by the vocabulary's pattern. A fold starts from the bytes of a word, as an array of ids,
+and merges the leftmost pair of least rank until no pair has a rank; a word that has a rank itself is that
+id. The words are counted, and the most frequent ones (at most `TABLE`, whatever the corpus) are folded
+once; tasks remember them, and fold a document's other distinct words where they stand. Words of more
+than `LONG` bytes, whose fold would take quadratic time, are merged by the vocabulary's library, exactly
+alike. Decoding looks up the bytes of each id and concatenates them.
 
-The rank map is a literal array of short strings, one for each value of a hash, so a look-up reads one
-bucket.
+The rank map takes a pair of ids to the id of their bytes together, which is its rank. It is a literal
+array without collisions: the pair's hash finds a displacement in one literal array, and with it the
+pair's place in the other.
 
 Defined results: a null text is an empty one and has no ids; repeated rows are encoded each; an empty
 table gives no rows. Columns other than the named ones are not read.
@@ -18,21 +19,21 @@ from __future__ import annotations
 
 import functools
 import hashlib
-import zlib
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import settle, table
+from galoislake.llm.common import settle, table, tidied
 from galoislake.llm.vocab import byte_encoder, ranks, split_pattern, vocabulary_path
 
 TABLE = 400_000
 LONG = 64
-_RANK_BUCKETS = 1 << 16
-_NONE = 1 << 30
+_SLOTS, _BUCKETS = 1 << 18, 1 << 15
+_ID = 1 << 17  # ids are below it
+_NONE = _ID - 1
 
 
 def pattern() -> str:
@@ -40,68 +41,80 @@ def pattern() -> str:
     return "(?U)" + split_pattern()
 
 
-def _literal(buckets: list[str], end: str) -> Column:
-    return F.split(F.lit(end.join(buckets)), end, -1)
-
-
-def _bucketed(items: list[tuple[str, str]], buckets: int, start: str, between: str, end: str) -> Column:
-    """A literal array of strings; bucket crc32(key) mod buckets holds start key between value, again and again."""
-    out = [""] * buckets
-    for key, value in items:
-        out[zlib.crc32(key.encode()) & (buckets - 1)] += f"{start}{key}{between}{value}"
-    return _literal(out, end)
-
-
-def _let(value: Column, body: Callable[[Column], Column]) -> Column:
-    """body(value) with the value computed once."""
-    return F.transform(F.array(value), body)[0]
-
-
-def _look_up(buckets: Column, count: int, key: Column, start: str, between: str) -> Column:
-    """The value of key as a string, or null."""
-    bucket = F.get(buckets, F.crc32(key.cast("binary")).bitwiseAND(F.lit(count - 1)).cast("int"))
-    tail = F.call_function("substring_index", bucket, F.concat(F.lit(start), key, F.lit(between)), F.lit(-1))
-    return _let(F.struct(bucket.alias("b"), tail.alias("t")), lambda x: F.when(F.length(x["b"]) != F.length(x["t"]), F.substring_index(x["t"], start, 1)))
+def _pairs(path: str) -> list[tuple[int, int, int]]:
+    """Every (left id, right id, id of both together)."""
+    by_bytes = ranks(path)
+    return [(by_bytes[t[:k]], by_bytes[t[k:]], r) for t, r in by_bytes.items() for k in range(1, len(t)) if t[:k] in by_bytes and t[k:] in by_bytes]
+
+
+def _placed(keys: np.ndarray, values: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(displacement of each bucket, key and value in each place): a perfect hash of the keys."""
+    bucket, rest = hashes & (_BUCKETS - 1), hashes >> 15 & (_SLOTS - 1)
+    by = np.argsort(bucket, kind="stable")
+    cut = np.searchsorted(bucket[by], np.arange(_BUCKETS + 1))
+    taken, moves, slots = np.zeros(_SLOTS, dtype=bool), np.zeros(_BUCKETS, dtype=np.int64), np.zeros(_SLOTS, dtype=np.int64)
+    for b in np.argsort(cut[:-1] - cut[1:], kind="stable"):
+        own = by[cut[b] : cut[b + 1]]
+        if not len(own):
+            break
+        if len(np.unique(rest[own])) < len(own):
+            raise ValueError("two pairs of one bucket agree in their whole hash")
+        for d in range(_SLOTS):
+            at = rest[own] ^ d
+            if not taken[at].any():
+                break
+        else:
+            raise ValueError("the rank map is too full")
+        taken[at], moves[b], slots[at] = True, d, keys[own] * _ID + values[own]
+    return moves, slots
 
 
 class Coder:
     """The fold of one vocabulary file, as a column."""
 
-    def __init__(self, path: str):
-        self.path = path
-        by_bytes = ranks(path)
-        items = [(k.hex().upper(), str(v)) for k, v in by_bytes.items()]
-        self._ranks = _bucketed(items, _RANK_BUCKETS, "|", ":", ",")
-
-    def rank(self, piece: Column) -> Column:
-        return _look_up(self._ranks, _RANK_BUCKETS, piece, "|", ":").cast("int")
-
-    def fold(self, word: Column) -> Column:
-        """The ids of a word of at least one byte, joined by blanks."""
+    def __init__(self, spark: SparkSession, path: str):
+        pairs = np.array(_pairs(path), dtype=np.int64)
+        keys = pairs[:, 0] * _ID + pairs[:, 1]
+        hashed = spark.createDataFrame(pa.table({"k": keys})).select("k", F.xxhash64("k").alias("h")).toArrow().to_pydict()  # as many rows as the vocabulary has pairs
+        of = dict(zip(hashed["k"], hashed["h"], strict=True))
+        moves, slots = _placed(keys, pairs[:, 2], np.array([of[k] for k in keys.tolist()], dtype=np.int64))
+        listed = lambda x, kind: F.split(F.lit(",".join(map(str, x.tolist()))), ",").cast(f"array<{kind}>")
+        self._moves, self._slots = listed(moves, "int"), listed(slots, "bigint")
+
+    def _ranks(self, ids: Column) -> Column:
+        """The rank of each neighbouring pair, _NONE where it has none."""
+        keys = F.transform(F.slice(ids, F.lit(2), F.size(ids)), lambda right, i: F.get(ids, i).cast("bigint") * F.lit(_ID).cast("bigint") + right)
+        hashes = F.transform(keys, lambda k: F.xxhash64(k))
+        places = F.transform(hashes, lambda h: F.shiftright(h, 15).bitwiseAND(F.lit(_SLOTS - 1)).cast("int").bitwiseXOR(F.get(self._moves, h.bitwiseAND(F.lit(_BUCKETS - 1)).cast("int"))))
+        entries = F.transform(places, lambda at: F.get(self._slots, at))
+        return F.zip_with(entries, keys, lambda e, k: F.when(F.shiftright(e, 17) == k, e.bitwiseAND(F.lit(_ID - 1)).cast("int")).otherwise(F.lit(_NONE)))
+
+    def fold(self, ids: Column) -> Column:
+        """The ids of a word from the ids of its bytes."""
 
         def merged(state: Column) -> Column:
-            pieces = state["p"]
+            p, r = state["p"], state["r"]
+            least = F.array_min(r)
+            k = F.array_position(r, least).cast("int")
+            new = F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p)))
+            grown = F.transform(F.array(new), lambda q: F.struct(q.alias("p"), self._ranks(q).alias("r")))[0]
+            return F.when(F.coalesce(least, F.lit(_NONE)) < _NONE, grown).otherwise(state)
 
-            def best(ranked: Column) -> Column:
-                least = F.array_min(ranked)
+        start = F.struct(ids.alias("p"), self._ranks(ids).alias("r"))
+        folded = F.aggregate(F.slice(ids, F.lit(2), F.size(ids)), start, lambda s, _: merged(s))["p"]
+        return F.when(F.size(ids) > 1, folded).otherwise(ids)
 
-                def join(k: Column) -> Column:
-                    whole = F.concat(F.get(pieces, k - 1), F.get(pieces, k))
-                    return F.concat(F.slice(pieces, F.lit(1), k - 1), F.array(whole), F.slice(pieces, k + 2, F.size(pieces)))
 
-                found = F.coalesce(least < _NONE, F.lit(False))
-                return F.when(found, F.struct(_let(F.array_position(ranked, least).cast("int"), join).alias("p"), F.lit(False).alias("d"))).otherwise(F.struct(pieces.alias("p"), F.lit(True).alias("d")))
-
-            pairs = F.when(F.size(pieces) > 1, F.transform(F.slice(pieces, F.lit(2), F.size(pieces)), lambda right, i: F.coalesce(self.rank(F.concat(F.get(pieces, i), right)), F.lit(_NONE)))).otherwise(F.array().cast("array<int>"))
-            return F.when(state["d"], state).otherwise(_let(pairs, best))
+@functools.cache
+def _byte_ids(path: str) -> np.ndarray:
+    by_bytes = ranks(path)
+    return np.array([by_bytes[bytes([b])] for b in range(256)], dtype=np.int32)
 
-        def spelled(code: Column) -> Column:
-            first = F.struct(F.regexp_extract_all(code, F.lit(".."), F.lit(0)).alias("p"), F.lit(False).alias("d"))
-            steps = F.sequence(F.lit(1), (F.length(code) / 2).cast("int"))
-            ended = F.aggregate(steps, first, lambda s, _: merged(s))["p"]
-            return F.coalesce(self.rank(code).cast("string"), F.array_join(F.transform(ended, lambda p: self.rank(p).cast("string")), " "))
 
-        return _let(F.hex(word), spelled)
+def _spelled(words: list[bytes], path: str) -> pa.ListArray:
+    """The ids of the bytes of each word."""
+    ends = np.cumsum([0, *map(len, words)])
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(_byte_ids(path)[np.frombuffer(b"".join(words), np.uint8)]))
 
 
 def words_of(text: Column) -> Column:
@@ -130,25 +143,48 @@ def _token_bytes(path: str) -> list[bytes]:
     return out
 
 
-def _packed(ids: str) -> bytes:
-    return np.array(ids.split(" "), dtype="<i4").tobytes()
+def _folded_table(words: DataFrame, coder: Coder, path: str) -> dict[str, bytes]:
+    """The ids of each word, as little-endian int32."""
+
+    def spell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), _spelled([w.encode() for w in b.column(0).to_pylist()], path)], names=["word", "start"])
+
+    got = words.mapInArrow(spell, "word string, start array<int>").select("word", coder.fold(F.col("start")).alias("ids")).toArrow()
+    whole, out = ranks(path), {}
+    for b in got.to_batches():
+        lists = b.column(1)
+        flat, ends = lists.flatten().to_numpy().astype("<i4").tobytes(), (np.asarray(lists.offsets) - lists.offsets[0].as_py()).tolist()
+        for i, w in enumerate(b.column(0).to_pylist()):
+            rank = whole.get(w.encode())
+            out[w] = flat[4 * ends[i] : 4 * ends[i + 1]] if rank is None else rank.to_bytes(4, "little")
+    return out
 
 
 def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id and ids (binary, little-endian int32) of every row."""
-    path, cut_by = vocabulary or vocabulary_path("byte_bpe_50k.tiktoken"), split_pattern()
-    coder, spark = Coder(path), docs.sparkSession
-    table_ = frequent_words(docs, most, text=text).select("word", coder.fold(F.col("word")).alias("ids")).toArrow()  # at most `most` rows
-    known = spark.sparkContext.broadcast(dict(zip(table_.column(0).to_pylist(), map(_packed, table_.column(1).to_pylist()), strict=True)))
-    del table_
+    path = vocabulary or vocabulary_path("byte_bpe_50k.tiktoken")
+    coded, kind = _coded(docs, path, most, doc_id, text)
+
+    def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(_filled(b)), pa.binary())], names=["doc_id", "ids"])
+
+    return coded.mapInArrow(tidied(fill), f"doc_id {kind}, ids binary")
+
+
+def _coded(docs: DataFrame, path: str, most: int, doc_id: str, text: str) -> tuple[DataFrame, str]:
+    """doc_id, coded and folded: ids with -1, -2, ... for a document's own words, and these words' ids."""
+    cut_by, spark = split_pattern(), docs.sparkSession
+    coder = Coder(spark, path)
+    known = spark.sparkContext.broadcast(_folded_table(frequent_words(docs, most, text=text), coder, path))  # at most `most` words
 
     def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Ids of the words that are remembered or long; -1, -2, ... for the document's other words."""
         import regex
 
-        words, get, library = regex.compile(cut_by).findall, known.value.get, byte_encoder(path, cut_by)[0]
+        words, get, library, whole = regex.compile(cut_by).findall, known.value.get, byte_encoder(path, cut_by)[0], ranks(path)
         for b in batches:
-            coded, new = [], []
+            coded, new, cuts = [], [], [0]
             for t in b.column(1):
                 every = words(t.as_py() or "")
                 parts, others = [get(w) for w in every], {}
@@ -156,34 +192,44 @@ def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *,
                     for i, p in enumerate(parts):
                         if p is None:
                             w = every[i]
-                            raw = w.encode()
-                            parts[i] = np.array(library._encode_single_piece(raw), "<i4").tobytes() if len(raw) > LONG else others.setdefault(w, (-1 - len(others)).to_bytes(4, "little", signed=True))
+                            if w not in others:
+                                raw = w.encode()
+                                if raw in whole:
+                                    others[w] = whole[raw].to_bytes(4, "little")
+                                elif len(raw) > LONG:
+                                    others[w] = np.array(library._encode_single_piece(raw), "<i4").tobytes()
+                                else:
+                                    others[w] = (cuts[-1] - len(new) - 1).to_bytes(4, "little", signed=True)
+                                    new.append(raw)
+                            parts[i] = others[w]
                 coded.append(b"".join(parts))
-                new.append(list(others))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(coded, pa.binary()), pa.array(new, pa.list_(pa.string()))], names=["doc_id", "coded", "new"])
-
-    def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            out = [_filled(c, words) for c, words in zip(b.column("coded").to_pylist(), b.column("folded").to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], names=["doc_id", "ids"])
+                cuts.append(len(new))
+            lists = pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), _spelled(new, path))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(coded, pa.binary()), lists], names=["doc_id", "coded", "new"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
-    found = docs.select(doc_id, text).mapInArrow(look_up, f"doc_id {kind}, coded binary, new array<string>")
-    folded = found.select("doc_id", "coded", F.transform("new", coder.fold).alias("folded"))
-    return folded.mapInArrow(fill, f"doc_id {kind}, ids binary")
-
-
-def _filled(coded: bytes, words: list[str]) -> bytes:
-    """coded with the ids of the document's own words in their places."""
-    if not words:
-        return coded
-    ids, own = np.frombuffer(coded, "<i4"), [_packed(w) for w in words]
-    at = np.flatnonzero(ids < 0)
-    parts, before = [], 0
-    for i, k in zip(at.tolist(), (-1 - ids[at]).tolist(), strict=True):
-        parts += (coded[4 * before : 4 * i], own[k])
-        before = i + 1
-    return b"".join([*parts, coded[4 * before :]])
+    found = docs.select(doc_id, text).mapInArrow(tidied(look_up), f"doc_id {kind}, coded binary, new array<array<int>>")
+    return found.select("doc_id", "coded", F.transform("new", coder.fold).alias("folded")), kind
+
+
+def _filled(b: pa.RecordBatch) -> Iterator[bytes]:
+    """The coded ids of each row, with the ids of the document's own words in their places."""
+    lists = b.column("folded")
+    inner = lists.values
+    flat, starts = inner.values.to_numpy().astype("<i4").tobytes(), np.asarray(inner.offsets)
+    first = np.asarray(lists.offsets).tolist()
+    for i, coded in enumerate(b.column("coded").to_pylist()):
+        if first[i] == first[i + 1]:
+            yield coded
+            continue
+        ids = np.frombuffer(coded, "<i4")
+        at = np.flatnonzero(ids < 0)
+        which = first[i] - 1 - ids[at]
+        parts, before = [], 0
+        for k, low, high in zip(at.tolist(), (4 * starts[which]).tolist(), (4 * starts[which + 1]).tolist(), strict=True):
+            parts += (coded[4 * before : 4 * k], flat[low:high])
+            before = k + 1
+        yield b"".join([*parts, coded[4 * before :]])
 
 
 def decode(ids: bytes, path: str) -> bytes:
@@ -192,17 +238,21 @@ def decode(ids: bytes, path: str) -> bytes:
     return b"".join([pieces[i] for i in np.frombuffer(ids, "<i4").tolist()])
 
 
-def op7_byte_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = vocabulary_path("byte_bpe_50k.tiktoken")
+def digests(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc_id, n_tokens, and the SHA-256 of the decimal ids and of the decoded bytes."""
+    path = vocabulary or vocabulary_path("byte_bpe_50k.tiktoken")
+    coded, kind = _coded(docs, path, most, doc_id, text)
 
     def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sha = lambda b: hashlib.sha256(b).hexdigest()
         for b in batches:
-            ids = b.column(1).to_pylist()
+            ids = list(_filled(b))
             spelled = [sha(" ".join(map(str, np.frombuffer(c, "<i4").tolist())).encode()) for c in ids]
             columns = [b.column(0), pa.array([len(c) // 4 for c in ids], pa.int64()), pa.array(spelled, pa.string()), pa.array([sha(decode(c, path)) for c in ids], pa.string())]
             yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    coded = encode(table(spark, sf_dir, "documents"), path)
-    kind = coded.schema["doc_id"].dataType.simpleString()
-    return coded.mapInArrow(digest, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return coded.mapInArrow(tidied(digest), f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+
+
+def op7_byte_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return digests(table(spark, sf_dir, "documents"))
