@@ -18,7 +18,7 @@ from galoislake.functions import bits
 from galoislake.operators.closure import close, local_closures, merge_local
 from galoislake.operators.context import FormalContext
 from galoislake.operators.derive import bottom_intent, seeds_of
-from galoislake.plans.storage import forget, settle
+from galoislake.plans.storage import forget, settle, settle_counted
 
 
 @dataclass(frozen=True)
@@ -110,27 +110,28 @@ def round_all(ctx: FormalContext, parts: int | None = None, registry: str = "two
     if registry == "none" and max_rounds is None:
         raise ValueError("without a registry, rounds need a cap")
     keep = _bounds(ctx, min_support, max_size)
-    new = settle(_start(ctx).where(keep), "round")
+    open_ranks = F.lit(ctx.m) - bits.size_of(ctx.columns())
+    new, held = settle_counted(_start(ctx).where(keep), "round", pairs=open_ranks)
     seen, found, metrics = Registry(ctx, registry), [(0, new)], []
     seen.add(new)
-    count = total = new.count()
+    count = total = held["n"]
     s = bits.names_of("s", len(ctx.words))
     while count and (max_rounds is None or len(metrics) < max_rounds):
         began = time.time()
         pairs = seeds_of(ctx, new)
-        seeds = settle(pairs.select(*s).distinct() if dedupe_seeds else pairs.select(*s), "seeds")
-        asked = seeds.count()
+        seeds, asked_for = settle_counted(pairs.select(*s).distinct() if dedupe_seeds else pairs.select(*s), "seeds")
+        asked = asked_for["n"]
         if not asked:
             metrics.append(_metric(len(metrics) + 1, 0, 0, 0, ctx, began))
             break
         closed = _closed_each(ctx, seeds, strategy, asked, dedupe_seeds).where(keep)
         fresh = seen.unseen(closed.groupBy(*ctx.words).agg(F.first("support").alias("support")))
-        old_pairs = _pairs(ctx, new)
-        new = settle(fresh.select(*ctx.words, "support"), "round")
+        tried = held["pairs"]
+        new, held = settle_counted(fresh.select(*ctx.words, "support"), "round", pairs=open_ranks)
         forget(seeds)
-        count = new.count()
+        count = held["n"]
         total += count
-        metrics.append(_metric(len(metrics) + 1, old_pairs, asked, count, ctx, began))
+        metrics.append(_metric(len(metrics) + 1, tried, asked, count, ctx, began))
         if count:
             seen.add(new)
             found.append((len(metrics), new))
@@ -162,10 +163,6 @@ def _bounds(ctx: FormalContext, min_support: int, max_size: int | None):
     return keep if max_size is None else keep & (bits.size_of(ctx.columns()) <= max_size)
 
 
-def _pairs(ctx: FormalContext, intents: DataFrame) -> int:
-    return intents.agg(F.coalesce(F.sum(F.lit(ctx.m) - bits.size_of(ctx.columns())), F.lit(0)).cast("long")).first()[0]
-
-
 def _metric(r: int, pairs: int, seeds: int, new: int, ctx: FormalContext, began: float) -> dict:
     return {"round": r, "pairs": pairs, "seeds": seeds, "new": new, "merges": ctx.parts * seeds, "shipped_rows": ctx.parts * seeds, "elapsed_s": time.time() - began}
 
@@ -175,23 +172,23 @@ def round_branch(ctx: FormalContext, parts: int | None = None, static: str = "ca
     closure is kept if it adds nothing before that attribute. No registry is needed."""
     ctx = _prepared(ctx.split(parts) if parts else ctx, static)
     s, d = bits.names_of("s", len(ctx.words)), bits.names_of("d", len(ctx.words))
-    new = settle(_start(ctx).where(F.col("support") >= min_support).withColumn("last", F.lit(-1)), "round")
+    new, held = settle_counted(_start(ctx).where(F.col("support") >= min_support).withColumn("last", F.lit(-1)), "round")
     found, metrics = [(0, new)], []
-    count = new.count()
+    count = held["n"]
     ranks = ctx.spark.range(ctx.m).select(F.col("id").cast("int").alias("rank"))
     while count and (max_rounds is None or len(metrics) < max_rounds):
         began = time.time()
         pairs = new.crossJoin(F.broadcast(ranks)).where((F.col("rank") > F.col("last")) & ~bits.has_rank(ctx.columns(), F.col("rank")))
-        tried = settle(pairs.select("rank", *[F.col(w).alias(x) for w, x in zip(ctx.words, d, strict=True)], *[c.alias(x) for c, x in zip(bits.with_bit(ctx.columns(), F.col("rank")), s, strict=True)]), "tried")
-        asked = tried.count()
+        tried, held = settle_counted(pairs.select("rank", *[F.col(w).alias(x) for w, x in zip(ctx.words, d, strict=True)], *[c.alias(x) for c, x in zip(bits.with_bit(ctx.columns(), F.col("rank")), s, strict=True)]), "tried")
+        asked = held["n"]
         if not asked:
             metrics.append(_metric(len(metrics) + 1, 0, 0, 0, ctx, began))
             break
         closed = close(ctx, tried.select(*s).distinct(), strategy, asked)
         kept = tried.join(closed, s).where(bits.same_before(ctx.columns(), ctx.columns("d"), F.col("rank")) & (F.col("support") >= min_support))
-        new = settle(kept.select(*ctx.words, "support", F.col("rank").alias("last")), "round")
+        new, held = settle_counted(kept.select(*ctx.words, "support", F.col("rank").alias("last")), "round")
         forget(tried)
-        count = new.count()
+        count = held["n"]
         metrics.append(_metric(len(metrics) + 1, asked, asked, count, ctx, began))
         if count:
             found.append((len(metrics), new))

@@ -5,7 +5,8 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -30,6 +31,14 @@ def settle(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def settle_counted(df: DataFrame, name: str, **sums: Column) -> tuple[DataFrame, dict[str, int]]:
+    """settle(df), with its row count n and the given sums, taken while it is written."""
+    seen = Observation()
+    totals = [F.coalesce(F.sum(c), F.lit(0)).cast("long").alias(k) for k, c in sums.items()]
+    out = settle(df.observe(seen, F.count(F.lit(1)).alias("n"), *totals), name)
+    return out, seen.get
+
+
 def forget(df: DataFrame | None) -> None:
     """Delete what settle() wrote, once nothing reads it any more."""
     path = getattr(df, "_settled_path", None)
