@@ -3,7 +3,7 @@
 Texts are cut by the vocabulary's pattern. A fold starts from the bytes of a word, as an array of ids,
 and merges the leftmost pair of least rank until no pair has a rank; a word that has a rank itself is that
 id. The words are counted, and the most frequent ones (at most `TABLE`, whatever the corpus) are folded
-once; tasks remember them, and fold a document's other distinct words where they stand. Words of more
+once; tasks remember them, and fold each other word of a partition where it stands first. Words of more
 than `LONG` bytes, whose fold would take quadratic time, are merged by the vocabulary's library, exactly
 alike. Decoding looks up the bytes of each id and concatenates them.
 
@@ -30,6 +30,7 @@ from galoislake.llm.common import settle, table, tidied
 from galoislake.llm.vocab import byte_encoder, ranks, split_pattern, vocabulary_path
 
 TABLE = 400_000
+OTHERS = 200_000  # other words that a task remembers at once
 LONG = 64
 _SLOTS, _BUCKETS = 1 << 18, 1 << 15
 _ID = 1 << 17  # ids are below it
@@ -96,9 +97,12 @@ class Coder:
             p, r = state["p"], state["r"]
             least = F.array_min(r)
             k = F.array_position(r, least).cast("int")
+            # Only the pairs with the new id have new ranks: the one before it, and the one after it.
+            first = F.greatest(k - 1, F.lit(1))
+            near = F.concat(F.slice(p, first, k - first), F.array(least), F.slice(p, k + 2, F.lit(1)))
+            ranked = F.concat(F.slice(r, F.lit(1), F.greatest(k - 2, F.lit(0))), self._ranks(near), F.slice(r, k + 2, F.size(r)))
             new = F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p)))
-            grown = F.transform(F.array(new), lambda q: F.struct(q.alias("p"), self._ranks(q).alias("r")))[0]
-            return F.when(F.coalesce(least, F.lit(_NONE)) < _NONE, grown).otherwise(state)
+            return F.when(F.coalesce(least, F.lit(_NONE)) < _NONE, F.struct(new.alias("p"), ranked.alias("r"))).otherwise(state)
 
         start = F.struct(ids.alias("p"), self._ranks(ids).alias("r"))
         folded = F.aggregate(F.slice(ids, F.lit(2), F.size(ids)), start, lambda s, _: merged(s))["p"]
@@ -134,15 +138,6 @@ def frequent_words(docs: DataFrame, most: int, *, text: str = "text") -> DataFra
     return counts.where(F.col("n") >= least).select("word") if least else counts.select("word").limit(0)
 
 
-@functools.cache
-def _token_bytes(path: str) -> list[bytes]:
-    by_bytes = ranks(path)
-    out = [b""] * (max(by_bytes.values()) + 1)
-    for token, rank in by_bytes.items():
-        out[rank] = token
-    return out
-
-
 def _folded_table(words: DataFrame, coder: Coder, path: str) -> dict[str, bytes]:
     """The ids of each word, as little-endian int32."""
 
@@ -167,14 +162,16 @@ def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *,
     coded, kind = _coded(docs, path, most, doc_id, text)
 
     def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        others: list[bytes] = []
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(_filled(b)), pa.binary())], names=["doc_id", "ids"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(_filled(b, others)), pa.binary())], names=["doc_id", "ids"])
 
     return coded.mapInArrow(tidied(fill), f"doc_id {kind}, ids binary")
 
 
 def _coded(docs: DataFrame, path: str, most: int, doc_id: str, text: str) -> tuple[DataFrame, str]:
-    """doc_id, coded and folded: ids with -1, -2, ... for a document's own words, and these words' ids."""
+    """doc_id, coded, folded and fresh: ids with -1, -2, ... for words that are not remembered, the ids of
+    those of them that the partition had not had before, and whether their numbers begin anew."""
     cut_by, spark = split_pattern(), docs.sparkSession
     coder = Coder(spark, path)
     known = spark.sparkContext.broadcast(_folded_table(frequent_words(docs, most, text=text), coder, path))  # at most `most` words
@@ -183,59 +180,97 @@ def _coded(docs: DataFrame, path: str, most: int, doc_id: str, text: str) -> tup
         import regex
 
         words, get, library, whole = regex.compile(cut_by).findall, known.value.get, byte_encoder(path, cut_by)[0], ranks(path)
+        others: dict[str, bytes] = {}
+        given = 0
         for b in batches:
-            coded, new, cuts = [], [], [0]
+            coded, new, cuts, fresh = [], [], [0], []
             for t in b.column(1):
                 every = words(t.as_py() or "")
-                parts, others = [get(w) for w in every], {}
+                fresh.append(len(others) > OTHERS)
+                if fresh[-1]:
+                    others, given = {}, 0
+                parts = list(map(get, every))
                 if None in parts:
                     for i, p in enumerate(parts):
                         if p is None:
                             w = every[i]
-                            if w not in others:
+                            own = others.get(w)
+                            if own is None:
                                 raw = w.encode()
                                 if raw in whole:
-                                    others[w] = whole[raw].to_bytes(4, "little")
+                                    own = whole[raw].to_bytes(4, "little")
                                 elif len(raw) > LONG:
-                                    others[w] = np.array(library._encode_single_piece(raw), "<i4").tobytes()
+                                    own = np.array(library._encode_single_piece(raw), "<i4").tobytes()
                                 else:
-                                    others[w] = (cuts[-1] - len(new) - 1).to_bytes(4, "little", signed=True)
+                                    given += 1
+                                    own = (-given).to_bytes(4, "little", signed=True)
                                     new.append(raw)
-                            parts[i] = others[w]
+                                others[w] = own
+                            parts[i] = own
                 coded.append(b"".join(parts))
                 cuts.append(len(new))
             lists = pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), _spelled(new, path))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(coded, pa.binary()), lists], names=["doc_id", "coded", "new"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(coded, pa.binary()), lists, pa.array(fresh)], names=["doc_id", "coded", "new", "fresh"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
-    found = docs.select(doc_id, text).mapInArrow(tidied(look_up), f"doc_id {kind}, coded binary, new array<array<int>>")
-    return found.select("doc_id", "coded", F.transform("new", coder.fold).alias("folded")), kind
+    found = docs.select(doc_id, text).mapInArrow(tidied(look_up), f"doc_id {kind}, coded binary, new array<array<int>>, fresh boolean")
+    return found.select("doc_id", "coded", F.transform("new", coder.fold).alias("folded"), "fresh"), kind
 
 
-def _filled(b: pa.RecordBatch) -> Iterator[bytes]:
-    """The coded ids of each row, with the ids of the document's own words in their places."""
+def _filled(b: pa.RecordBatch, others: list[bytes]) -> Iterator[bytes]:
+    """The coded ids of each row with the other words' ids in their places. others: those words' ids so
+    far in the partition; the batch's are added."""
     lists = b.column("folded")
     inner = lists.values
-    flat, starts = inner.values.to_numpy().astype("<i4").tobytes(), np.asarray(inner.offsets)
+    flat, starts = inner.values.to_numpy().astype("<i4").tobytes(), (4 * np.asarray(inner.offsets)).tolist()
     first = np.asarray(lists.offsets).tolist()
-    for i, coded in enumerate(b.column("coded").to_pylist()):
-        if first[i] == first[i + 1]:
-            yield coded
-            continue
+    for i, (coded, fresh) in enumerate(zip(b.column("coded").to_pylist(), b.column("fresh").to_pylist(), strict=True)):
+        if fresh:
+            others.clear()
+        others += [flat[starts[k] : starts[k + 1]] for k in range(first[i], first[i + 1])]
         ids = np.frombuffer(coded, "<i4")
         at = np.flatnonzero(ids < 0)
-        which = first[i] - 1 - ids[at]
+        if not len(at):
+            yield coded
+            continue
         parts, before = [], 0
-        for k, low, high in zip(at.tolist(), (4 * starts[which]).tolist(), (4 * starts[which + 1]).tolist(), strict=True):
-            parts += (coded[4 * before : 4 * k], flat[low:high])
-            before = k + 1
-        yield b"".join([*parts, coded[4 * before :]])
+        for k, w in zip((4 * at).tolist(), (-1 - ids[at]).tolist(), strict=True):
+            parts += (coded[before:k], others[w])
+            before = k + 4
+        yield b"".join([*parts, coded[before:]])
+
+
+@functools.cache
+def _token_table(path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All tokens' bytes in a row, where each begins, and how long each is."""
+    by_bytes = ranks(path)
+    tokens = [b""] * (max(by_bytes.values()) + 1)
+    for token, rank in by_bytes.items():
+        tokens[rank] = token
+    sizes = np.array([len(t) for t in tokens], dtype=np.int64)
+    return np.frombuffer(b"".join(tokens), np.uint8), np.cumsum(sizes) - sizes, sizes
 
 
 def decode(ids: bytes, path: str) -> bytes:
     """The bytes of the ids, piece after piece."""
-    pieces = _token_bytes(path)
-    return b"".join([pieces[i] for i in np.frombuffer(ids, "<i4").tolist()])
+    flat, starts, sizes = _token_table(path)
+    at = np.frombuffer(ids, "<i4")
+    own = sizes[at]
+    ends = np.cumsum(own)
+    return flat[np.repeat(starts[at] - ends + own, own) + np.arange(ends[-1] if len(ends) else 0)].tobytes()
+
+
+@functools.cache
+def _decimals(count: int) -> np.ndarray:
+    """Each number's decimal digits and a blank, filled up with zero bytes."""
+    width = len(str(count)) + 1
+    return np.frombuffer(b"".join(f"{i} ".encode().ljust(width, b"\0") for i in range(count)), np.uint8).reshape(count, width)
+
+
+def decimal_ids(ids: bytes, path: str) -> bytes:
+    """The ids as decimal numbers joined by one blank."""
+    digits = _decimals(len(_token_table(path)[2]))[np.frombuffer(ids, "<i4")].ravel()
+    return digits[digits != 0].tobytes()[:-1]
 
 
 def digests(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -245,10 +280,10 @@ def digests(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *
 
     def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sha = lambda b: hashlib.sha256(b).hexdigest()
+        others: list[bytes] = []
         for b in batches:
-            ids = list(_filled(b))
-            spelled = [sha(" ".join(map(str, np.frombuffer(c, "<i4").tolist())).encode()) for c in ids]
-            columns = [b.column(0), pa.array([len(c) // 4 for c in ids], pa.int64()), pa.array(spelled, pa.string()), pa.array([sha(decode(c, path)) for c in ids], pa.string())]
+            ids = list(_filled(b, others))
+            columns = [b.column(0), pa.array([len(c) // 4 for c in ids], pa.int64()), pa.array([sha(decimal_ids(c, path)) for c in ids], pa.string()), pa.array([sha(decode(c, path)) for c in ids], pa.string())]
             yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return coded.mapInArrow(tidied(digest), f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
