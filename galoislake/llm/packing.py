@@ -26,6 +26,7 @@ from galoislake.llm.vocab import vocabulary_path, word_encoder
 CAPACITY = 2048
 SLACK = 4  # a bin with at most so many free places is done
 AT_ONCE = 50_000  # pieces that a task packs together
+WORDS = 100_000  # words that a worker remembers, twice; more memory for less time
 BINS_AT_ONCE = 8_000  # underfull bins that a task of a later round packs together
 _BIN = 1 << 32
 
@@ -57,12 +58,12 @@ def best_fit(sizes: list[int], capacity: int = CAPACITY) -> tuple[list[int], lis
     return bins, places, filled
 
 
-def pieces_of(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, at_once: int = AT_ONCE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def pieces_of(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, at_once: int = AT_ONCE, remembered: int = WORDS, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Pieces, each with the bin that its own task packed it into."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encode = word_encoder(vocabulary).ids
+        encode = word_encoder(vocabulary, remembered).ids
         first = TaskContext.get().partitionId() * _BIN
         rows: list[tuple] = []
         for b in batches:
@@ -105,9 +106,9 @@ def _repack(capacity: int):
     return run
 
 
-def pack(docs: DataFrame, vocabulary: str | None = None, capacity: int = CAPACITY, slack: int = SLACK, bins_at_once: int = BINS_AT_ONCE, **names: str) -> DataFrame:
+def pack(docs: DataFrame, vocabulary: str | None = None, capacity: int = CAPACITY, slack: int = SLACK, bins_at_once: int = BINS_AT_ONCE, remembered: int = WORDS, **names: str) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id and offset of every piece."""
-    pieces = settle(pieces_of(docs, vocabulary or vocabulary_path("word_bpe_49k.json"), capacity, **names), "pieces")
+    pieces = settle(pieces_of(docs, vocabulary or vocabulary_path("word_bpe_49k.json"), capacity, remembered=remembered, **names), "pieces")
     moves = merge_underfull(pieces.where(F.col("filled") < capacity - slack).groupBy("bin").agg(F.max("filled").alias("filled")), capacity, slack, bins_at_once)
     out = pieces.join(moves.withColumnRenamed("bin", "from"), F.col("bin") == F.col("from"), "left")
     return out.select("doc_id", "piece", "start", "length", "ids_crc32", F.coalesce("into", "bin").alias("sequence_id"), (F.col("place") + F.coalesce("shift", F.lit(0))).alias("offset"))
@@ -137,4 +138,4 @@ def merge_underfull(bins: DataFrame, capacity: int, slack: int, bins_at_once: in
 
 
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(table(spark, sf_dir, "documents"))
+    return pack(table(spark, sf_dir, "documents"), remembered=400_000)

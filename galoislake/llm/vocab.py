@@ -55,11 +55,10 @@ class WordEncoder:
     letter, pieces by the file's pattern, then merges. Only the merges run in the library, once for each
     word not remembered; so the result equals encoding the whole text."""
 
-    WORDS = 200_000
     # The vocabulary file's pattern for the texts that _AGREED admits: letters, single digits, other marks.
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+"
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, remembered: int = 100_000):
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
         self._path, self._whole = path, None
@@ -68,6 +67,7 @@ class WordEncoder:
         self._merges.normalizer = normalizers.Sequence([])
         self._merges.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
         self._pieces = re.compile(self.PATTERN).findall
+        self._remembered = remembered
         self._known: dict[str, bytes] = {}
         self._before: dict[str, bytes] = {}
 
@@ -88,7 +88,7 @@ class WordEncoder:
         parts = list(map(self._known.get, words))
         if None not in parts:
             return b"".join(parts)
-        if len(self._known) > self.WORDS:  # the words of the generation before are still looked up
+        if len(self._known) > self._remembered:  # the words of the generation before are still looked up
             self._before, self._known = self._known, {}
         known, old, new = self._known, self._before, []
         for w in {w for w, p in zip(words, parts, strict=True) if p is None}:
@@ -104,5 +104,5 @@ class WordEncoder:
 
 
 @functools.cache
-def word_encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
+def word_encoder(path: str, remembered: int) -> WordEncoder:
+    return WordEncoder(path, remembered)
