@@ -96,13 +96,13 @@ class Coder:
         def merged(state: Column) -> Column:
             p, r = state["p"], state["r"]
             least = F.array_min(r)
-            k = F.array_position(r, least).cast("int")
-            # Only the pairs with the new id have new ranks: the one before it, and the one after it.
-            first = F.greatest(k - 1, F.lit(1))
-            near = F.concat(F.slice(p, first, k - first), F.array(least), F.slice(p, k + 2, F.lit(1)))
-            ranked = F.concat(F.slice(r, F.lit(1), F.greatest(k - 2, F.lit(0))), self._ranks(near), F.slice(r, k + 2, F.size(r)))
-            new = F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p)))
-            return F.when(F.coalesce(least, F.lit(_NONE)) < _NONE, F.struct(new.alias("p"), ranked.alias("r"))).otherwise(state)
+
+            def joined(k: Column) -> Column:
+                return F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p)))
+
+            # A transform of a one-element array computes its element once and names it.
+            new = F.transform(F.transform(F.array(F.array_position(r, least).cast("int")), joined), lambda q: F.struct(q.alias("p"), self._ranks(q).alias("r")))[0]
+            return F.when(F.coalesce(least, F.lit(_NONE)) < _NONE, new).otherwise(state)
 
         start = F.struct(ids.alias("p"), self._ranks(ids).alias("r"))
         folded = F.aggregate(F.slice(ids, F.lit(2), F.size(ids)), start, lambda s, _: merged(s))["p"]
