@@ -1,8 +1,9 @@
 """From documents to packed token sequences, in five stages.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows its predecessor kept; all but the last
-return the columns of documents. Low-quality documents go, cross-site boilerplate lines are cut, one
-document of each near-duplicate group stays, secrets are masked, and the rest is packed.
+return the columns of documents. Low-quality documents go, cross-site boilerplate lines are cut (a text
+of nothing else stays whole, so that one of its copies is left), one document of each near-duplicate
+group stays, secrets are masked, and the rest is packed.
 
 A null text counts as empty throughout and stays null where texts are returned; a null doc_id is never a
 duplicate; repeated rows are treated alike; an empty table passes through as one.
@@ -27,7 +28,7 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def without_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _counted(lines.cut_boilerplate(docs))
+    return _counted(lines.cut_boilerplate(docs, spare_copies=True))
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

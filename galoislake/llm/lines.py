@@ -6,8 +6,9 @@ with a third of all rows moves one sketch a task. Estimates clear of the thresho
 within `margin` of it get an exact distinct count in a second aggregation. Boilerplate lines are then
 cut from every text.
 
-A document that would lose more than half of its characters is a copy rather than a page with
-boilerplate; its text stays whole and is left to near-duplicate detection.
+Every document is cut, whatever share of it goes. With spare_copies (for a near-duplicate stage after
+this one) a document of which nothing but blanks would be left keeps its text: every copy of a text on
+min_sites sites is one, and cutting all of them would lose the text itself.
 
 Defined results: a null text stays null with no lines; an empty text has one empty line; lines of
 blanks are never cut; a null site counts for no site; repeated rows are treated alike; an empty table
@@ -23,7 +24,7 @@ from galoislake.llm.common import settle, table
 
 MIN_SITES = 10
 MARGIN = 0.1  # six standard errors of a sketch of 4096 registers
-KEEP_SHARE = 0.5
+KEEP_SHARE = 0.5  # of the SQL only, which still leaves a document whole that would lose more
 _LG = 12
 
 
@@ -48,7 +49,7 @@ def boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float = MAR
     return settle(sure.unionByName(exact), "boilerplate")
 
 
-def cut_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float = MARGIN, keep_share: float = KEEP_SHARE, *, text: str = "text", site: str = "source", counts: bool = False) -> DataFrame:
+def cut_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float = MARGIN, keep_share: float = 0.0, *, spare_copies: bool = False, text: str = "text", site: str = "source", counts: bool = False) -> DataFrame:
     """docs with the boilerplate lines cut from the text column; with counts, also n_lines and n_cut."""
     bad = boilerplate(docs, min_sites, margin, text=text, site=site)
     identity = F.unhex(F.md5(F.col(text)))  # equal texts lose equal lines
@@ -58,6 +59,8 @@ def cut_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float =
     joined = docs.withColumn("_ld_key", identity).join(cuts, "_ld_key", "left")
     cut = F.array_join(F.filter(_split(F.col(text)), lambda _, i: ~F.array_contains("_ld_cut", i)), "\n")
     applied = F.col("_ld_cut").isNotNull() & (F.length("_ld_new") >= keep_share * F.length(text))
+    if spare_copies:
+        applied &= F.col("_ld_new").rlike(r"\S")
     out = joined.withColumn("_ld_new", F.when(F.col("_ld_cut").isNotNull(), cut))
     shown = [F.when(applied, F.col("_ld_new")).otherwise(F.col(text)).alias(text) if c == text else F.col(f"`{c}`") for c in docs.columns]
     if counts:

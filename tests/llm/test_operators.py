@@ -117,6 +117,16 @@ def test_vectors(spark, rows_a_pivot):
     assert vectors.dedup(rows.limit(0)).count() == 0
 
 
+def test_lines_cut_documents_of_mostly_boilerplate(spark):
+    shared = "this long line stands on as many sites as it takes to be boilerplate"
+    rows = [(i, f"{shared}\nown {i}\n{shared}", f"s{i}") for i in range(12)] + [(20, shared, "s1"), (21, shared + "\n \n" + shared, "s2")]
+    table = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = {r.doc_id: (r.text, r.n_lines, r.n_cut) for r in lines.cut_boilerplate(table, counts=True).collect()}
+    assert got == {i: (f"own {i}", 3, 2) for i in range(12)} | {20: ("", 1, 1), 21: (" ", 3, 2)}
+    spared = {r.doc_id: r.text for r in lines.cut_boilerplate(table, spare_copies=True).collect()}
+    assert spared == {i: f"own {i}" for i in range(12)} | {i: t for i, t, _ in rows[12:]}
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(60)] + [(100, k) for k in range(101, 300)] + [(500, 500)]
     got = {r.node: r.component for r in graph.components(spark.createDataFrame(edges, "a long, b long")).collect()}
