@@ -10,12 +10,14 @@ from pyspark.sql import functions as F
 
 
 def register(spark: SparkSession) -> None:
-    """lectic_less(a, b), lectic_less_at(a, b, p), seed_of(d, p) on one-word sets, and mine_concepts(TABLE)."""
+    """lectic_less(a, b), lectic_less_at(a, b, p), seed_of(d, p) on one-word sets, mine_concepts(TABLE)
+    and mine_concepts_by_day(TABLE ... PARTITION BY day)."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION lectic_less(a BIGINT, b BIGINT) RETURNS BOOLEAN RETURN a < b")
     above = "(9223372036854775807 ^ (shiftleft(1L, 63 - p) - 1L))"
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION lectic_less_at(a BIGINT, b BIGINT, p INT) RETURNS BOOLEAN RETURN IF(p = 0, true, (a & {above}) = (b & {above})) AND (b & shiftleft(1L, 62 - p)) <> 0 AND (a & shiftleft(1L, 62 - p)) = 0")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION seed_of(d BIGINT, p INT) RETURNS BIGINT RETURN IF(p = 0, 0L, d & {above}) | shiftleft(1L, 62 - p)")
     spark.udtf.register("mine_concepts", F.udtf(MineConcepts, returnType="intent string, size int, support bigint"))
+    spark.udtf.register("mine_concepts_by_day", F.udtf(MineConceptsByDay, returnType="day string, intent string, size int, support bigint"))
 
 
 def intersect_agg(column: str) -> Column:
@@ -53,3 +55,19 @@ class MineConcepts:
         for f in family:
             support = sum(n for r, n in self._rows.items() if f <= r)
             yield ",".join(sorted(x.replace("\\", "\\\\").replace(",", "\\,") for x in f)), len(f), support
+
+
+class MineConceptsByDay(MineConcepts):
+    """The same over rows with columns day and attrs, partitioned by the day, which every concept carries."""
+
+    def __init__(self):
+        super().__init__()
+        self._day: str | None = None
+
+    def eval(self, row):
+        self._day = row["day"]
+        super().eval(row)
+
+    def terminate(self):
+        for concept in super().terminate():
+            yield self._day, *concept

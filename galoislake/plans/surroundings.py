@@ -171,19 +171,13 @@ QUERIES["udaf_intersect"] = (
 
 
 def _by_group(spark, sf_dir, *_):
-    sqlapi.register(spark)
-    rows = WORKLOADS["session_mix"].profiles(spark, sf_dir).withColumn("day", F.right("obj", F.lit(10))).where("day <= '2024-01-03'")
-    return _each_day(spark, rows)
+    return _each_day(spark, WORKLOADS["session_mix"].profiles(spark, sf_dir).withColumn("day", F.right("obj", F.lit(10))))
 
 
 def _each_day(spark, rows: DataFrame) -> DataFrame:
     """The table function on each day's sessions."""
-    out = None
-    for day in ("2024-01-01", "2024-01-02", "2024-01-03"):
-        rows.where(F.col("day") == day).select("attrs").createOrReplaceTempView(f"galoislake_day_{day[-2:]}")
-        part = spark.sql(f"SELECT '{day}' AS day, intent, size, support FROM mine_concepts(TABLE(galoislake_day_{day[-2:]}) WITH SINGLE PARTITION)")
-        out = part if out is None else out.unionByName(part)
-    return out
+    sqlapi.register(spark)
+    return spark.sql("SELECT * FROM mine_concepts_by_day(TABLE(SELECT day, attrs FROM {rows}) PARTITION BY day)", rows=rows)
 
 
 def _day_sql(day: str) -> str:

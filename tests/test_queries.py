@@ -3,9 +3,11 @@
 import os
 
 import duckdb
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
+from galoislake.plans import surroundings
 
 SF = "/root/testdata/sf0.001"
 NAMES = ["scale_bands", "scale_related", "derive_objects", "close_objects", "local_closures_conversation_shape", "closure_pairs_document_meta", "context_profile_all", "covers_conversation_shape", "trace_tiny_single", "trace_tiny_all",
@@ -40,3 +42,29 @@ def test_entry(spark):
 
 def test_every_sql_has_its_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_table_function_mines_every_day(spark, tmp_path):
+    # (user, day, event type): days far apart, each with its own family
+    made = [(1, "2024-01-01", "view"), (1, "2024-01-01", "cart"), (2, "2024-01-01", "view"), (1, "2024-01-17", "cart"), (2, "2024-01-17", "view"), (3, "2025-06-30", "view")]
+    events = spark.createDataFrame([(k, u, f"{d} 01:00:00", t, 1.0) for k, (u, d, t) in enumerate(made)], "event_id long, user_id long, ts string, event_type string, value double")
+    events.selectExpr("event_id", "user_id", "CAST(ts AS TIMESTAMP) AS ts", "event_type", "value").write.parquet(str(tmp_path / "events.parquet"))
+    got = sorted(tuple(r) for r in entry.queries()["udtf_concepts_by_day"](spark, str(tmp_path)).select("day", "intent", "size", "support").collect())
+    want = []
+    for day in sorted({d for _, d, _ in made}):
+        rows = {}
+        for k, (u, d, t) in enumerate(made):
+            if d == day:
+                rows.setdefault(u, set()).update({f"type={t}", "part=0", "v=lo"})
+        family = {frozenset().union(*rows.values())}
+        for row in rows.values():
+            family |= {f & row for f in family}
+        want += [(day, ",".join(sorted(f)), len(f), sum(f <= r for r in rows.values())) for f in family]
+    assert got == sorted(want)
+
+
+def test_table_function_equals_sql_on_all_days(spark, duck):
+    got = entry.queries()["udtf_concepts_by_day"](spark, SF).toPandas()
+    days = [str(d) for (d,) in duck.execute("SELECT DISTINCT CAST(ts AS DATE) FROM events").fetchall()]
+    want = pd.concat([duck.execute(surroundings._day_sql(d)).df() for d in days])
+    assert len(days) == 30 and rows(got, sorted(got.columns)) == rows(want, sorted(got.columns))
