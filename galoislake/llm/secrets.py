@@ -1,18 +1,20 @@
 """Secret scans: fixed patterns, and a linear-chain conditional random field that adds spans.
 
-The patterns give the base spans. The field tags the tokens of every chunk (characters between white
-space) that holds a digit as begin, inside or outside of a secret; chunks without a digit are clamped
-to outside, so a text's chain falls into independent chains of one chunk each and the decoding by
-Viterbi is exact under that clamp. Features are token shapes, the neighbouring tokens and words, and
-features of the whole file. Weights come from maximum likelihood (forward and backward sums over
-padded batches) on chunks that the patterns label; the keyword before a secret is hidden in half of
-the training chunks, so the field learns the shape of a secret as well as its announcement.
-
-`TRAINING_CHUNKS` bounds the training sample: the chunks with the smallest hashes among those of all
-documents. Everything else covers every character of every text.
+The patterns give the base spans. The field tags every token of a text (a run of letters and digits, or
+one other character) as begin, inside or outside of a secret, in one chain a text between two outside
+tags. Decoding is exact: a token whose outside score is ahead by more than any pair scores around it can
+give back is outside on the best path, and Viterbi runs over what lies between such tokens. Features are
+shapes of the token and its neighbours, announcing words before and after it, and features of the whole
+file. Weights come from maximum likelihood (forward and backward sums over padded batches) on windows of
+tokens that the patterns label; the announcing words are hidden in half of the training windows, so the
+field learns the shape of a secret as well as its announcement.
+
+`TRAINING_CHUNKS` bounds the training sample: the windows with the smallest hashes among those of all
+documents, where windows with secrets and with digits have better chances (`CHANCES`). Everything else
+covers every character of every text.
 
 Defined results: a null text is an empty one and has no spans; repeated rows are scanned each; spans
-of the field that touch a base span are dropped, base spans never; with no chunk to learn from, the
+of the field that touch a base span are dropped, base spans never; with no window to learn from, the
 field adds nothing. Columns other than the named ones are not read; `mask` replaces the text column
 and keeps all others.
 """
@@ -39,16 +41,17 @@ KEYWORDS = ("password", "passwd", "secret", "token", "api_?key")
 KINDS = ("assign", "access", "hex", "crf")
 TRAINING_CHUNKS = 20_000
 WIDTH = 1 << 12
-LONGEST_TRAINING_CHUNK = 200
+WINDOW = 16  # tokens of a training window
+CHANCES = (1, 8, 64)  # of a window to be learned from: plain, with a digit, with a secret
+TOKENS = 1 << 17  # about as many are held at once
 
 _ANY_CASE = "|".join("".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in k) for k in KEYWORDS)
 ASSIGN = re.compile(rf"""({_ANY_CASE})["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{32,}")  # a run of that length is a maximal run of the class
 _HINTS = ("passw", "secret", "token", "api")
-_DIGITS = re.compile(r"[0-9]+")
-_EDGE = re.compile(r"\s")
-_PIECES = re.compile(r"[A-Za-z0-9]+|[^A-Za-z0-9]")
+_PIECES = re.compile(r"\s*(?:[^\W_]+|[^\w\s]|_)")  # each token with the white space before it
+_ANNOUNCING = re.compile("|".join(KEYWORDS))
 
 
 def base_spans(text: str) -> list[tuple[int, int, str]]:
@@ -63,47 +66,110 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return sorted(out, key=lambda s: (s[0], KINDS.index(s[2])))
 
 
-def chunks(text: str) -> Iterator[tuple[int, int]]:
-    """Start and end of the chunks with a digit."""
-    done = 0
-    for m in _DIGITS.finditer(text):
-        if m.start() < done:
-            continue
-        start = m.start()
-        while start > done and not text[start - 1].isspace():
-            start -= 1
-        edge = _EDGE.search(text, m.end())
-        done = edge.start() if edge else len(text)
-        yield start, done
-
-
 def _shape(token: str) -> str:
-    if not token[0].isalnum() or not token.isascii():
-        return token[:1]
-    kinds = ("d" if any(c.isdigit() for c in token) else "") + ("a" if any(c.islower() for c in token) else "") + ("A" if any(c.isupper() for c in token) else "")
+    if not token[0].isalnum():
+        return token if token.isascii() else "other"
+    kinds = ("d" if any(c.isdigit() for c in token) else "") + ("a" if any(c.islower() for c in token) else "") + ("A" if any(c.isupper() for c in token) else "") + ("" if token.isascii() else "u")
     return f"{kinds}{min(9, len(token) // 4)}{'h' if re.fullmatch('[0-9a-f]+', token) else ''}"
 
 
-def features(text: str, start: int, end: int, file: str, hide: bool = False) -> tuple[list[tuple[int, int]], list[list[int]]]:
-    """Token spans of a chunk, and the hashed features of each. hide: leave announcing words out."""
-    spans = [(start + m.start(), start + m.end()) for m in _PIECES.finditer(text[start:end])]
-    tokens = [text[a:b] for a, b in spans]
-    shapes = [_shape(t) for t in tokens]
-    before = text[max(0, start - 40) : start].split()
-    word = re.sub("[^a-z_]", "", before[-1].lower()) if before else ""
-    two = re.sub("[^a-z_]", "", before[-2].lower()) if len(before) > 1 else ""
-    told = any(re.search(k, f"{two} {word}") for k in KEYWORDS) and not hide
-    out = []
-    for i, (t, s) in enumerate(zip(tokens, shapes, strict=True)):
-        mixed = len(re.findall(r"[0-9][A-Za-z]|[A-Za-z][0-9]", t))
-        variety = int(2 * math.log2(len(set(t)) + 1))
-        left = shapes[i - 1] if i else "^"
-        right = shapes[i + 1] if i + 1 < len(shapes) else "$"
-        announced = not hide and any(re.fullmatch(k, x.lower()) for x in tokens[max(0, i - 3) : i] for k in KEYWORDS)
-        own = "" if hide else t.lower() if len(t) < 9 and t.isalpha() else ""
-        named = ["bias", f"s={s}", f"l={left}|{s}", f"r={s}|{right}", f"m={min(6, mixed)}", f"v={variety}", f"told={told}", f"ann={announced}", f"file={file}|{s}", f"w={own}", f"at={min(i, 4)}|{s}"]
-        out.append([zlib.crc32(x.encode()) % WIDTH for x in named])
-    return spans, out
+def _crc(x: str) -> int:
+    return zlib.crc32(x.encode("utf-8", "surrogatepass"))
+
+
+_LENGTH, _BLANKS, _SHAPE, _MIXED, _VARIETY, _OWN, _TOLD, _PART, _DIGIT = range(9)
+_HIDDEN = _crc("w=") % WIDTH
+
+
+class _Tokens(dict):
+    """Number of each distinct token, and what is known of it alone in `rows`. Number 0 is a text's border."""
+
+    def __init__(self):
+        super().__init__()
+        self.rows, self.chars = np.zeros((1 << 12, 9), dtype=np.int64), 0
+        self[""] = 0
+
+    def __missing__(self, token: str) -> int:
+        k = self[token] = len(self)
+        if k == len(self.rows):
+            self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
+        t = token.lstrip()
+        low, shape = t.lower(), _shape(t)
+        mixed, variety = len(re.findall(r"[0-9][A-Za-z]|[A-Za-z][0-9]", t)), int(2 * math.log2(len(set(t)) + 1))
+        part = {"api": 1, "_": 2, "key": 3}.get(low, 0)
+        self.chars += len(token)
+        self.rows[k] = [len(token), len(token) - len(t), 1 + _crc(f"s={shape}"), _crc(f"m={min(6, mixed)}") % WIDTH, _crc(f"v={variety}") % WIDTH, _crc(f"w={low if len(t) < 9 and t.isalpha() else ''}") % WIDTH, bool(_ANNOUNCING.search(low)), part, any(c.isdigit() for c in t)]
+        return k
+
+
+_KNOWN = _Tokens()
+
+
+def _hashed(kind: int, a: np.ndarray, b: np.ndarray | int) -> np.ndarray:
+    """Places of pairs of numbers among the weights."""
+    x = a.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.asarray(b).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(kind * 0x165667B19E3779F9 & (1 << 64) - 1)
+    x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    return (x >> np.uint64(52)).astype(np.int64)
+
+
+_NEAR = np.array([0, 1, 2, 3, 3, 4, 4, 4, 4, 0])  # classes of distances to announcing words; 0 beyond
+
+
+@dataclass
+class _Chain:
+    """Texts as one row of tokens with a border before and after each. Columns of `known` as in _Tokens."""
+
+    known: np.ndarray
+    border: np.ndarray  # places of the borders
+    files: np.ndarray  # a number for each text's features as a whole
+
+    def starts(self) -> np.ndarray:
+        """Of each token (without its white space) in its text."""
+        ends = np.cumsum(self.known[:, _LENGTH])
+        base = np.repeat(ends[self.border], np.diff(np.append(self.border, len(ends))))
+        return ends - self.known[:, _LENGTH] + self.known[:, _BLANKS] - base
+
+    def features(self, hide: np.ndarray | bool = False) -> list[np.ndarray]:
+        """Hashed features of every token, one array for each. hide: leave announcing words out."""
+        k, n = self.known, len(self.known)
+        at, shape, edge = np.arange(n), k[:, _SHAPE], np.zeros(n, dtype=bool)
+        edge[self.border] = True
+        gap = (k[:, _BLANKS] > 0) | edge
+        one, two = np.roll(k[:, _PART], 1), np.roll(k[:, _PART], 2)
+        told = (k[:, _TOLD] > 0) | (k[:, _PART] == 3) & ((one == 1) | (one == 2) & (two == 1))
+        left = np.maximum.accumulate(np.where(told | edge, at, 0))
+        left = np.concatenate([[0], left[:-1]])
+        right = np.minimum.accumulate(np.where(told | edge, at, n - 1)[::-1])[::-1]
+        right = np.concatenate([right[1:], [n - 1]])
+        before = np.where(told[left], _NEAR[np.minimum(at - left, 9)], 0)
+        after = np.where(told[right], _NEAR[np.minimum(right - at, 9)], 0)
+        place = np.minimum(at - np.maximum.accumulate(np.where(gap, at, 0)), 4)
+        file = np.repeat(self.files, np.diff(np.append(self.border, n)))
+        own, before, after = np.where(hide, _HIDDEN, k[:, _OWN]), np.where(hide, 0, before), np.where(hide, 0, after)
+        return [
+            _hashed(1, shape, 0), k[:, _MIXED], k[:, _VARIETY], own, _hashed(2, np.roll(shape, 1), shape * 2 + gap), _hashed(3, shape, np.roll(shape, -1) * 2 + np.roll(gap, -1)),
+            _hashed(4, shape, before), _hashed(5, shape, after), _hashed(6, shape, file), _hashed(7, shape, place),
+        ]
+
+
+def _chains(texts: list[str]) -> Iterator[tuple[int, _Chain]]:
+    """(place of its first text, chain) of groups of texts of bounded size."""
+    first, numbers, border, files, size = 0, [], [], [], 0
+    for i, text in enumerate(texts):
+        if not numbers and (len(_KNOWN) > 200_000 or _KNOWN.chars > 1 << 23):
+            _KNOWN.clear()  # numbers are used within a group only
+            _KNOWN.__init__()
+        tokens = _PIECES.findall(text.rstrip())
+        border.append(size)
+        files.append(_crc(file_kind(text)))
+        numbers.append(np.fromiter(map(_KNOWN.__getitem__, tokens), np.int64, len(tokens)))
+        size += 1 + len(tokens)
+        if size >= TOKENS or i + 1 == len(texts):
+            flat = np.zeros(size + 1, dtype=np.int64)
+            for b, x in zip(border, numbers, strict=True):
+                flat[b + 1 : b + 1 + len(x)] = x
+            yield first, _Chain(_KNOWN.rows[flat], np.array([*border, size]), np.array([*files, 0]))
+            first, numbers, border, files, size = i + 1, [], [], [], 0
 
 
 def file_kind(text: str) -> str:
@@ -138,6 +204,34 @@ class Field:
             tags.append(int(b[tags[-1]]))
         return tags[::-1]
 
+    def tags(self, chain: _Chain) -> np.ndarray:
+        """The best tags of all tokens of a chain; borders are outside."""
+        u = np.zeros((len(chain.known), 3))
+        for f in chain.features():
+            u += self.weights[f]
+        p = self.pairs
+        u[chain.border] = [0, 2 * _NEVER, 2 * _NEVER]
+        # What the pair scores may lose when a token turns to outside, and an inside one after it to begin.
+        before = max(0, (p[:, 1:] - p[:, :1]).max())
+        after = max(0, (p[1:, :2] - p[:1, :2]).max(), p[1:, 2].max() - p[0, 1] + max(0, (p[2] - p[1]).max()))
+        turned = np.append(np.maximum(u[1:, 2] - u[1:, 1], 0), 0)
+        sure = u[:, 0] - u[:, 1:].max(axis=1) > before + after + turned
+        sure[chain.border] = True
+        out = np.zeros(len(u), dtype=np.int64)
+        edges = np.flatnonzero(np.diff(sure.astype(np.int8)))
+        pairs = p.tolist()
+        for low, high in zip(edges[::2] + 1, edges[1::2] + 1, strict=True):
+            best, back = [0.0, 2 * _NEVER, 2 * _NEVER], []
+            for row in u[low:high].tolist():
+                step = [max((best[a] + pairs[a][b], -a) for a in range(3)) for b in range(3)]
+                back.append([-a for _, a in step])
+                best = [x + y for (x, _), y in zip(step, row, strict=True)]
+            tag = max(range(3), key=lambda a: best[a] + pairs[a][0])  # noqa: B023
+            for k in range(high - low - 1, -1, -1):
+                out[low + k] = tag
+                tag = back[k][tag]
+        return out
+
 
 def train(samples: list[tuple[list[list[int]], list[int]]], epochs: int = 8, rate: float = 0.3, decay: float = 1e-4) -> Field | None:
     """Maximum likelihood by AdaGrad over padded batches."""
@@ -196,55 +290,76 @@ def secret_parts(text: str) -> list[tuple[int, int]]:
     return out + [(a, b) for a, b, kind in base_spans(text) if kind != "assign"]
 
 
-def _samples(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        rows: list[tuple[int, list[list[int]], list[int]]] = []
-        for text in b.column(0).to_pylist():
-            if not text:
-                continue
-            found = list(chunks(text))
-            parts = secret_parts(text) if found else []
-            kind = file_kind(text) if found else ""
-            for a, z in found:
-                if z - a > LONGEST_TRAINING_CHUNK:
-                    continue
-                rank = zlib.crc32(text[max(0, a - 40) : z].encode("utf-8", "surrogatepass"))
-                spans, rows_of = features(text, a, z, kind, hide=bool(rank & 1))
-                tags, previous = [], None
-                for s, e in spans:
-                    own = next((p for p in parts if p[0] <= s and e <= p[1]), None)
-                    tags.append(0 if own is None else 2 if own == previous else 1)
-                    previous = own
-                rows.append((rank, rows_of, tags))
-        yield pa.RecordBatch.from_pydict({"rank": pa.array([r[0] for r in rows], pa.int64()), "x": pa.array([r[1] for r in rows], pa.list_(pa.list_(pa.int32()))), "y": pa.array([r[2] for r in rows], pa.list_(pa.int32()))})
+def _windows(texts: list[str]) -> Iterator[tuple[int, bytes, bytes]]:
+    """(rank, features, tags) of the training windows of the texts."""
+    for first, chain in _chains(texts):
+        n = len(chain.known)
+        start = chain.starts()
+        tags, rank, hide = np.zeros(n, dtype=np.int64), {}, np.zeros(n, dtype=bool)
+        for i, b in enumerate(chain.border[:-1]):
+            text, last = texts[first + i], chain.border[i + 1]
+            for s, e in secret_parts(text):
+                low, high = b + 1 + np.searchsorted(start[b + 1 : last], [s, e])
+                tags[low:high] = 2
+                tags[low : min(low + 1, high)] = 1
+            for low in range(b + 1, last, WINDOW):
+                high = min(low + WINDOW, last)
+                own = _crc(text[max(0, start[low] - 40) : start[high - 1] + chain.known[high - 1, _LENGTH]])
+                chance = CHANCES[2 if tags[low:high].any() else int(chain.known[low:high, _DIGIT].any())]
+                rank[low, high] = own * (CHANCES[-1] // chance)
+                hide[low:high] = own & 1
+        x = np.stack(chain.features(hide), axis=1).astype("<u2")
+        for (low, high), r in rank.items():
+            y = tags[low:high].astype("u1")
+            y[0] = min(y[0], 1)  # a secret that began before the window
+            yield r, x[low:high].tobytes(), y.tobytes()
 
 
 def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, *, text: str = "text") -> Field | None:
-    """Train on at most `most` chunks, those with the smallest hashes among all documents' chunks."""
-    rows = docs.select(F.col(text)).mapInArrow(tidied(_samples), "rank long, x array<array<int>>, y array<int>")
-    some = rows.orderBy("rank", F.hash("x", "y"), F.to_json("x")).limit(most).select("x", "y").toArrow().to_pydict()
-    return train([(x, y) for x, y in zip(some["x"], some["y"], strict=True)])
+    """Train on at most `most` windows, those with the smallest ranks among all documents' windows."""
+
+    def samples(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[int, bytes, bytes]] = []
+        top = math.inf
+        for b in batches:
+            held += [w for w in _windows([t for t in b.column(0).to_pylist() if t]) if w[0] <= top]
+            if len(held) > 2 * most:
+                held = sorted(held)[:most]
+                top = held[-1][0] if held else top
+        held = sorted(held)[:most]
+        yield pa.RecordBatch.from_arrays([pa.array([w[0] for w in held], pa.int64()), pa.array([w[1] for w in held], pa.binary()), pa.array([w[2] for w in held], pa.binary())], names=["rank", "x", "y"])
+
+    rows = docs.select(F.col(text)).mapInArrow(tidied(samples), "rank long, x binary, y binary")
+    some = rows.orderBy("rank", "x", "y").limit(most).select("x", "y").toArrow().to_pydict()
+    return train([(np.frombuffer(x, "<u2").reshape(len(y), -1), np.frombuffer(y, "u1")) for x, y in zip(some["x"], some["y"], strict=True)])
+
+
+def scans(texts: list[str | None], field: Field | None) -> list[list[tuple[int, int, str]]]:
+    """All spans of each text: those of the patterns and those the field adds."""
+    every = [base_spans(t or "") for t in texts]
+    if field:
+        for first, chain in _chains([t or "" for t in texts]):
+            tags = field.tags(chain)
+            begins = np.flatnonzero(tags == 1)
+            if not len(begins):
+                continue
+            start = chain.starts()
+            others = np.flatnonzero(tags != 2)
+            last = others[np.searchsorted(others, begins, side="right")] - 1  # a border comes after each text
+            ends = start[last] + chain.known[last, _LENGTH] - chain.known[last, _BLANKS]
+            added: dict[int, list[tuple[int, int]]] = {}
+            for i, s, e in zip((np.searchsorted(chain.border, begins) - 1).tolist(), start[begins].tolist(), ends.tolist(), strict=True):
+                added.setdefault(first + i, []).append((s, e))
+            for i, found in added.items():
+                base = [(s, e) for s, e, _ in every[i]]
+                every[i] += [(s, e, "crf") for s, e in found if not any(s < q and p < e for p, q in base)]
+                every[i].sort(key=lambda s: (s[0], KINDS.index(s[2])))
+    return every
 
 
 def scan(text: str | None, field: Field | None) -> list[tuple[int, int, str]]:
-    """All spans of a text: those of the patterns and those the field adds."""
-    text = text or ""
-    spans = base_spans(text)
-    found = list(chunks(text)) if field else []
-    if found:
-        kind, added = file_kind(text), []
-        for a, z in found:
-            tokens, rows = features(text, a, z, kind)
-            tags = field.decode(rows)
-            for (s, e), tag in zip(tokens, tags, strict=True):
-                if tag == 1:
-                    added.append([s, e])
-                elif tag == 2:
-                    added[-1][1] = e
-        ends = [(s, e) for s, e, _ in spans]
-        spans += [(s, e, "crf") for s, e in added if not any(s < q and p < e for p, q in ends)]
-        spans.sort(key=lambda s: (s[0], KINDS.index(s[2])))
-    return spans
+    """All spans of a text."""
+    return scans([text], field)[0]
 
 
 def _joined(spans: list[tuple[int, int, str]]) -> str:
@@ -256,7 +371,7 @@ def find(docs: DataFrame, field: Field | None, *, doc_id: str = "doc_id", text:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            every = [scan(t, field) for t in b.column(1).to_pylist()]
+            every = scans(b.column(1).to_pylist(), field)
             base = [[s for s in spans if s[2] != "crf"] for spans in every]
             count = lambda kind: pa.array([sum(s[2] == kind for s in spans) for spans in base], pa.int64())  # noqa: E731, B023
             yield pa.RecordBatch.from_arrays(
@@ -273,7 +388,7 @@ def mask(docs: DataFrame, field: Field | None, mark: str = "[secret]", *, text:
 
     @F.pandas_udf("string")
     def masked(texts: pd.Series) -> pd.Series:
-        return pd.Series([t if t is None else _masked(t, scan(t, field), mark) for t in texts.tolist()], dtype="object")
+        return pd.Series([t if t is None else _masked(t, spans, mark) for t, spans in zip(texts.tolist(), scans(texts.tolist(), field), strict=True)], dtype="object")
 
     return docs.withColumn(text, masked(F.col(text)))
 

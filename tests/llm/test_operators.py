@@ -157,6 +157,25 @@ def test_chain_decoding_is_the_best_path():
     assert field.decode(rows) == list(best)
 
 
+def test_secrets_without_a_digit_and_whole_chains(spark):
+    letters = ["".join(np.random.default_rng(i).choice(list("bcdfghjkmpqrtvwxzBCDFGHJKMPQRTVWXZ"), 24)) for i in range(400)]
+    rows = [(i, f"note {prose(i, 30)} password: {x} then {prose(i + 1, 9)}") for i, x in enumerate(letters)]
+    field = secrets.fit(spark.createDataFrame(rows, "doc_id long, text string"))
+    text = "we sent the key QzXwRtBvKpMgHdTcJfWqZxNb to them"  # no digit, and no pattern finds it
+    assert secrets.base_spans(text) == [] and secrets.scan(text, field) == [(16, 40, "crf")]
+    # All tokens of several texts against trying every chain.
+    rng = np.random.default_rng(2)
+    texts = ["a1 b-c", "", " x", "ab cd\n\u00e9f", "k=v _ "]
+    for size in (0.3, 2.0):
+        field = secrets.Field(size * rng.standard_normal((secrets.WIDTH, 3)), rng.standard_normal((3, 3)) + np.array([[0, 0, secrets._NEVER], [0, 0, 0], [0, 0, 0]]))
+        for _, chain in secrets._chains(texts):
+            unary = sum(field.weights[f] for f in chain.features())
+            tags = field.tags(chain)
+            for low, high in zip(chain.border, chain.border[1:], strict=False):
+                score = lambda t, low=low: sum(unary[low + 1 + i][k] for i, k in enumerate(t)) + sum(field.pairs[a, b] for a, b in zip((0, *t), (*t, 0), strict=True))
+                assert tuple(tags[low + 1 : high]) == max(np.ndindex(*[3] * (high - low - 1)), key=score)
+
+
 def test_packing(spark, docs, none):
     from tokenizers import Tokenizer
 
