@@ -9,8 +9,8 @@ file. Weights come from maximum likelihood (forward and backward sums over padde
 tokens that the patterns label; the announcing words are hidden in half of the training windows, so the
 field learns the shape of a secret as well as its announcement.
 
-`TRAINING_CHUNKS` bounds the training sample: the windows with the smallest hashes among those of all
-documents, where windows with secrets and with digits have better chances (`CHANCES`). Everything else
+`TRAINING_CHUNKS` bounds the training sample: the distinct windows with the smallest hashes among those of
+all documents, where windows with secrets and with digits have better chances (`CHANCES`). Everything else
 covers every character of every text.
 
 Defined results: a null text is an empty one and has no spans; repeated rows are scanned each; spans
@@ -233,7 +233,7 @@ class Field:
         return out
 
 
-def train(samples: list[tuple[list[list[int]], list[int]]], epochs: int = 8, rate: float = 0.3, decay: float = 1e-4) -> Field | None:
+def train(samples: list[tuple[np.ndarray, np.ndarray]], weights: list[float] | None = None, epochs: int = 8, rate: float = 0.3, decay: float = 1e-4) -> Field | None:
     """Maximum likelihood by AdaGrad over padded batches."""
     if not samples:
         return None
@@ -241,18 +241,20 @@ def train(samples: list[tuple[list[list[int]], list[int]]], epochs: int = 8, rat
     base[0, 2] = _NEVER
     w, pairs = np.zeros((WIDTH, 3)), np.zeros((3, 3))
     gw, gp = np.full_like(w, 1e-6), np.full_like(pairs, 1e-6)
-    samples = sorted(samples, key=lambda s: len(s[1]))
+    weights = weights or [1.0] * len(samples)
+    samples = sorted(((*s, m) for s, m in zip(samples, weights, strict=True)), key=lambda s: len(s[1]))
     batches = [samples[i : i + 256] for i in range(0, len(samples), 256)]
     order = np.random.default_rng(7)
     for _ in range(epochs):
         for k in order.permutation(len(batches)):
             batch = batches[k]
-            n, t, f = len(batch), max(len(y) for _, y in batch), len(batch[0][0][0])
+            n, t, f = len(batch), max(len(y) for _, y, _ in batch), len(batch[0][0][0])
             x = np.zeros((n, t, f), dtype=np.int64)
             y = np.zeros((n, t), dtype=np.int64)
             live = np.zeros((n, t), dtype=bool)
-            for i, (rows, tags) in enumerate(batch):
+            for i, (rows, tags, _) in enumerate(batch):
                 x[i, : len(rows)], y[i, : len(tags)], live[i, : len(tags)] = rows, tags, True
+            mass = np.array([m for _, _, m in batch])
             unary, trans = w[x].sum(axis=2), pairs + base
             alpha, beta = np.zeros((t, n, 3)), np.zeros((t, n, 3))
             alpha[0] = unary[:, 0] + np.array([0, 0, _NEVER])
@@ -266,15 +268,16 @@ def train(samples: list[tuple[list[list[int]], list[int]]], epochs: int = 8, rat
             p = np.exp(alpha + beta - z[None, :, None]).transpose(1, 0, 2) * live[:, :, None]
             g = -p
             g[np.arange(n)[:, None], np.arange(t)[None], y] += live
+            g *= mass[:, None, None]
             dw = np.zeros_like(w)
             np.add.at(dw, x[live], g[live][:, None, :])
             dp = np.zeros_like(pairs)
             for j in range(1, t):
                 on = live[:, j]
                 both = alpha[j - 1][:, :, None] + trans + (unary[:, j] + beta[j])[:, None, :] - z[:, None, None]
-                dp -= np.exp(both[on]).sum(axis=0)
-                np.add.at(dp, (y[on, j - 1], y[on, j]), 1)
-            dw, dp = dw / n - decay * w, dp / n - decay * pairs
+                dp -= (np.exp(both[on]) * mass[on, None, None]).sum(axis=0)
+                np.add.at(dp, (y[on, j - 1], y[on, j]), mass[on])
+            dw, dp = dw / mass.sum() - decay * w, dp / mass.sum() - decay * pairs
             gw += dw**2
             gp += dp**2
             w += rate * dw / np.sqrt(gw)
@@ -316,22 +319,26 @@ def _windows(texts: list[str]) -> Iterator[tuple[int, bytes, bytes]]:
 
 
 def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, *, text: str = "text") -> Field | None:
-    """Train on at most `most` windows, those with the smallest ranks among all documents' windows."""
+    """Train on at most `most` distinct windows, those with the smallest ranks among all documents' windows.
+
+    A window that stands n times weighs 1 + log2(n): more than one does, but never the whole sample."""
 
     def samples(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[int, bytes, bytes]] = []
-        top = math.inf
+        held: dict[tuple[int, bytes, bytes], int] = {}
+        top = math.inf  # no window of a higher rank is among the distinct ones of this partition
         for b in batches:
-            held += [w for w in _windows([t for t in b.column(0).to_pylist() if t]) if w[0] <= top]
+            for w in _windows([t for t in b.column(0).to_pylist() if t]):
+                if w[0] <= top:
+                    held[w] = held.get(w, 0) + 1
             if len(held) > 2 * most:
-                held = sorted(held)[:most]
-                top = held[-1][0] if held else top
-        held = sorted(held)[:most]
-        yield pa.RecordBatch.from_arrays([pa.array([w[0] for w in held], pa.int64()), pa.array([w[1] for w in held], pa.binary()), pa.array([w[2] for w in held], pa.binary())], names=["rank", "x", "y"])
-
-    rows = docs.select(F.col(text)).mapInArrow(tidied(samples), "rank long, x binary, y binary")
-    some = rows.orderBy("rank", "x", "y").limit(most).select("x", "y").toArrow().to_pydict()
-    return train([(np.frombuffer(x, "<u2").reshape(len(y), -1), np.frombuffer(y, "u1")) for x, y in zip(some["x"], some["y"], strict=True)])
+                held = {w: held[w] for w in sorted(held)[:most]}
+                top = max((w[0] for w in held), default=-1)
+        kept = sorted(held)[:most]
+        yield pa.RecordBatch.from_arrays([pa.array([w[0] for w in kept], pa.int64()), pa.array([w[1] for w in kept], pa.binary()), pa.array([w[2] for w in kept], pa.binary()), pa.array([held[w] for w in kept], pa.int64())], names=["rank", "x", "y", "n"])
+
+    rows = docs.select(F.col(text)).mapInArrow(tidied(samples), "rank long, x binary, y binary, n long")
+    some = rows.groupBy("rank", "x", "y").agg(F.sum("n").alias("n")).orderBy("rank", "x", "y").limit(most).select("x", "y", "n").toArrow().to_pydict()
+    return train([(np.frombuffer(x, "<u2").reshape(len(y), -1), np.frombuffer(y, "u1")) for x, y in zip(some["x"], some["y"], strict=True)], [1 + math.log2(n) for n in some["n"]])
 
 
 def scans(texts: list[str | None], field: Field | None) -> list[list[tuple[int, int, str]]]:

@@ -176,6 +176,18 @@ def test_secrets_without_a_digit_and_whole_chains(spark):
                 assert tuple(tags[low + 1 : high]) == max(np.ndindex(*[3] * (high - low - 1)), key=score)
 
 
+def test_secrets_learn_from_distinct_windows(spark, monkeypatch):
+    copies = [(i, "one passage 77 that stands in every row of a large part of the table") for i in range(500)]
+    rows = copies + [(1000 + i, f"line {i} token: {hashlib.md5(str(i).encode()).hexdigest()[:20]}") for i in range(60)]
+    seen = []
+    monkeypatch.setattr(secrets, "train", lambda samples, weights: seen.extend(zip(samples, weights, strict=True)))
+    secrets.fit(spark.createDataFrame(rows, "doc_id long, text string").repartition(4), most=50)
+    assert len(seen) == 50 and sum(m > 1 for _, m in seen) <= 1
+    seen.clear()
+    secrets.fit(spark.createDataFrame(rows, "doc_id long, text string").repartition(4))
+    assert len(seen) == 61 and sorted(m for _, m in seen)[-1] == 1 + np.log2(500) and sorted(m for _, m in seen)[-2] == 1
+
+
 def test_packing(spark, docs, none):
     from tokenizers import Tokenizer
 
