@@ -3,13 +3,14 @@
 Texts are cut by the vocabulary's pattern. A fold starts from the bytes of a word, as an array of ids,
 and merges the leftmost pair of least rank until no pair has a rank; a word that has a rank itself is that
 id. The words are counted, and the most frequent ones (at most `TABLE`, whatever the corpus) are folded
-once; tasks remember them, and fold each other word of a partition where it stands first. Words of more
-than `LONG` bytes, whose fold would take quadratic time, are merged by the vocabulary's library, exactly
-alike. Decoding looks up the bytes of each id and concatenates them.
+once and sent to the tasks in a compact form, sorted by hash; an entry is taken only if its ids spell the
+word. Tasks fold each other word of a partition where it stands first. A fold takes time with the square
+of a word, so runs of more than `LONG` bytes without a cut take the same merges from a heap of pairs
+instead. Decoding looks up the bytes of each id and concatenates them.
 
-The rank map takes a pair of ids to the id of their bytes together, which is its rank. It is a literal
-array without collisions: the pair's hash finds a displacement in one literal array, and with it the
-pair's place in the other.
+The rank map takes a pair of ids to the id of their bytes together, which is its rank. It is literal
+arrays without collisions: the pair's 64-bit hash finds a displacement in one, and with it the place of
+the pair's own hash and rank in two others.
 
 Defined results: a null text is an empty one and has no ids; repeated rows are encoded each; an empty
 table gives no rows. Columns other than the named ones are not read.
@@ -19,22 +20,24 @@ from __future__ import annotations
 
 import functools
 import hashlib
-from collections.abc import Iterator
+import heapq
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from galoislake.llm.common import settle, table, tidied
-from galoislake.llm.vocab import byte_encoder, ranks, split_pattern, vocabulary_path
+from galoislake.llm.vocab import ranks, split_pattern, vocabulary_path
 
-TABLE = 400_000
-OTHERS = 200_000  # other words that a task remembers at once
-LONG = 64
-_SLOTS, _BUCKETS = 1 << 18, 1 << 15
-_ID = 1 << 17  # ids are below it
-_NONE = _ID - 1
+TABLE = 600_000  # about 30 bytes each
+REMEMBERED = 300_000  # words that a task has at hand, but for those of its last text
+LONG = 128
+_SLOT_BITS, _BUCKET_BITS = 18, 15
+_NONE = (1 << 31) - 1  # the rank of a pair that has none
 
 
 def pattern() -> str:
@@ -48,67 +51,107 @@ def _pairs(path: str) -> list[tuple[int, int, int]]:
     return [(by_bytes[t[:k]], by_bytes[t[k:]], r) for t, r in by_bytes.items() for k in range(1, len(t)) if t[:k] in by_bytes and t[k:] in by_bytes]
 
 
-def _placed(keys: np.ndarray, values: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(displacement of each bucket, key and value in each place): a perfect hash of the keys."""
-    bucket, rest = hashes & (_BUCKETS - 1), hashes >> 15 & (_SLOTS - 1)
+def _parted(hashes: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
+    """(skip, bucket, rest): the first bits of each hash, and those after `skip` bits, which tell apart
+    the hashes of one bucket."""
+    bits = hashes.view(np.uint64)
+    bucket = (bits >> np.uint64(64 - _BUCKET_BITS)).astype(np.int64)
+    for skip in range(_BUCKET_BITS, 65 - _SLOT_BITS):
+        rest = ((bits << np.uint64(skip)) >> np.uint64(64 - _SLOT_BITS)).astype(np.int64)
+        if len(np.unique(bucket << _SLOT_BITS | rest)) == len(hashes):
+            return skip, bucket, rest
+    raise ValueError("the hashes of two pairs agree in too many bits")
+
+
+def _placed(hashes: np.ndarray, values: np.ndarray) -> tuple[int, np.ndarray, np.ndarray, np.ndarray]:
+    """(skip, displacement of each bucket, hash in each place, value in each place): a perfect hash."""
+    skip, bucket, rest = _parted(hashes)
     by = np.argsort(bucket, kind="stable")
-    cut = np.searchsorted(bucket[by], np.arange(_BUCKETS + 1))
-    taken, moves, slots = np.zeros(_SLOTS, dtype=bool), np.zeros(_BUCKETS, dtype=np.int64), np.zeros(_SLOTS, dtype=np.int64)
+    cut = np.searchsorted(bucket[by], np.arange((1 << _BUCKET_BITS) + 1))
+    size = 1 << _SLOT_BITS
+    taken, moves, placed, held = np.zeros(size, dtype=bool), np.zeros(1 << _BUCKET_BITS, dtype=np.int64), np.zeros(size, dtype=np.int64), np.zeros(size, dtype=np.int64)
     for b in np.argsort(cut[:-1] - cut[1:], kind="stable"):
         own = by[cut[b] : cut[b + 1]]
         if not len(own):
             break
-        if len(np.unique(rest[own])) < len(own):
-            raise ValueError("two pairs of one bucket agree in their whole hash")
-        for d in range(_SLOTS):
+        for d in range(size):
             at = rest[own] ^ d
             if not taken[at].any():
                 break
         else:
             raise ValueError("the rank map is too full")
-        taken[at], moves[b], slots[at] = True, d, keys[own] * _ID + values[own]
-    return moves, slots
+        taken[at], moves[b], placed[at], held[at] = True, d, hashes[own], values[own]
+    return skip, moves, placed, held
 
 
 class Coder:
-    """The fold of one vocabulary file, as a column."""
+    """The fold of one vocabulary file, as a column.
+
+    A pair is known by the 64-bit hash of its two ids; the expressions of the fold keep clear of
+    arithmetic, which is slow where expressions are interpreted."""
 
     def __init__(self, spark: SparkSession, path: str):
         pairs = np.array(_pairs(path), dtype=np.int64)
-        keys = pairs[:, 0] * _ID + pairs[:, 1]
-        hashed = spark.createDataFrame(pa.table({"k": keys})).select("k", F.xxhash64("k").alias("h")).toArrow().to_pydict()  # as many rows as the vocabulary has pairs
-        of = dict(zip(hashed["k"], hashed["h"], strict=True))
-        moves, slots = _placed(keys, pairs[:, 2], np.array([of[k] for k in keys.tolist()], dtype=np.int64))
+        rows = pa.table({"l": pairs[:, 0].astype(np.int32), "r": pairs[:, 1].astype(np.int32), "v": pairs[:, 2]})
+        hashed = spark.createDataFrame(rows).select(F.xxhash64("l", "r").alias("h"), "v").toArrow()  # as many rows as the vocabulary has pairs
         listed = lambda x, kind: F.split(F.lit(",".join(map(str, x.tolist()))), ",").cast(f"array<{kind}>")
-        self._moves, self._slots = listed(moves, "int"), listed(slots, "bigint")
+        self._skip, moves, placed, held = _placed(hashed.column(0).to_numpy().copy(), hashed.column(1).to_numpy())
+        self._moves, self._placed, self._held = listed(moves, "bigint"), listed(placed, "bigint"), listed(held, "int")
 
     def _ranks(self, ids: Column) -> Column:
         """The rank of each neighbouring pair, _NONE where it has none."""
-        keys = F.transform(F.slice(ids, F.lit(2), F.size(ids)), lambda right, i: F.get(ids, i).cast("bigint") * F.lit(_ID).cast("bigint") + right)
-        hashes = F.transform(keys, lambda k: F.xxhash64(k))
-        places = F.transform(hashes, lambda h: F.shiftright(h, 15).bitwiseAND(F.lit(_SLOTS - 1)).cast("int").bitwiseXOR(F.get(self._moves, h.bitwiseAND(F.lit(_BUCKETS - 1)).cast("int"))))
-        entries = F.transform(places, lambda at: F.get(self._slots, at))
-        return F.zip_with(entries, keys, lambda e, k: F.when(F.shiftright(e, 17) == k, e.bitwiseAND(F.lit(_ID - 1)).cast("int")).otherwise(F.lit(_NONE)))
+
+        def found(hashes: Column) -> Column:
+            places = F.transform(hashes, lambda h: F.get(self._moves, F.shiftrightunsigned(h, 64 - _BUCKET_BITS)).bitwiseXOR(F.shiftrightunsigned(F.shiftleft(h, self._skip), 64 - _SLOT_BITS)))
+            return F.zip_with(places, hashes, lambda at, h: F.when(F.get(self._placed, at) == h, F.get(self._held, at)).otherwise(F.lit(_NONE)))
+
+        return _named(F.transform(F.slice(ids, F.lit(2), F.size(ids)), lambda right, i: F.xxhash64(F.get(ids, i), right)), found)
 
     def fold(self, ids: Column) -> Column:
         """The ids of a word from the ids of its bytes."""
 
         def merged(state: Column) -> Column:
             p, r = state["p"], state["r"]
-            least = F.array_min(r)
 
-            def joined(k: Column) -> Column:
-                return F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p)))
+            def joined(least: Column) -> Column:
+                return _named(F.array_position(r, least).cast("int"), lambda k: F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p))))
 
-            # A transform of a one-element array computes its element once and names it.
-            new = F.transform(F.transform(F.array(F.array_position(r, least).cast("int")), joined), lambda q: F.struct(q.alias("p"), self._ranks(q).alias("r")))[0]
-            return F.when(F.coalesce(least, F.lit(_NONE)) < _NONE, new).otherwise(state)
+            new = _named(_named(F.array_min(r), joined), lambda q: F.struct(q.alias("p"), self._ranks(q).alias("r")))
+            return F.when(F.array_min(r) < F.lit(_NONE), new).otherwise(state)
 
         start = F.struct(ids.alias("p"), self._ranks(ids).alias("r"))
         folded = F.aggregate(F.slice(ids, F.lit(2), F.size(ids)), start, lambda s, _: merged(s))["p"]
         return F.when(F.size(ids) > 1, folded).otherwise(ids)
 
 
+def _named(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), with the value computed once: it becomes the variable of a one-element transform."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def merge_long(word: bytes, by_bytes: dict[bytes, int]) -> list[int]:
+    """The same merges, leftmost pair of least rank first, from a heap of pairs."""
+    ends, before = list(range(1, len(word) + 1)), list(range(-1, len(word) - 1))  # of the piece that begins at each byte
+    waiting = [(r, i, i + 2) for i in range(len(word) - 1) if (r := by_bytes.get(word[i : i + 2])) is not None]
+    heapq.heapify(waiting)
+    live = [True] * len(word)
+
+    def offer(i: int) -> None:
+        if i >= 0 and ends[i] < len(word) and (r := by_bytes.get(word[i : ends[ends[i]]])) is not None:
+            heapq.heappush(waiting, (r, i, ends[ends[i]]))
+
+    while waiting:
+        _, i, end = heapq.heappop(waiting)
+        if not live[i] or ends[i] == len(word) or ends[ends[i]] != end or end == ends[i]:
+            continue
+        live[ends[i]], ends[i] = False, end
+        if end < len(word):
+            before[end] = i
+        offer(before[i])
+        offer(i)
+    return [by_bytes[word[i : ends[i]]] for i in range(len(word)) if live[i]]
+
+
 @functools.cache
 def _byte_ids(path: str) -> np.ndarray:
     by_bytes = ranks(path)
@@ -138,22 +181,51 @@ def frequent_words(docs: DataFrame, most: int, *, text: str = "text") -> DataFra
     return counts.where(F.col("n") >= least).select("word") if least else counts.select("word").limit(0)
 
 
-def _folded_table(words: DataFrame, coder: Coder, path: str) -> dict[str, bytes]:
-    """The ids of each word, as little-endian int32."""
+@dataclass(frozen=True)
+class _Table:
+    """The ids of many words, found by the words' hashes."""
+
+    hashes: np.ndarray
+    ends: np.ndarray
+    flat: bytes  # little-endian int32
+
+    def find(self, words: list[bytes], path: str) -> list[bytes | None]:
+        if not len(self.hashes):
+            return [None] * len(words)
+        asked = np.array([xxhash.xxh64_intdigest(w, 42) for w in words], np.uint64).view(np.int64)
+        at = np.minimum(np.searchsorted(self.hashes, asked), len(self.hashes) - 1)
+        low, high, tokens = np.where(at > 0, self.ends[at - 1], 0).tolist(), self.ends[at].tolist(), _tokens(path)
+        out: list[bytes | None] = []
+        for w, same, a, b in zip(words, (self.hashes[at] == asked).tolist(), low, high, strict=True):
+            ids = self.flat[4 * a : 4 * b] if same else None
+            out.append(ids if ids is not None and b"".join([tokens[i] for i in memoryview(ids).cast("i")]) == w else None)
+        return out
+
+
+def _folded_table(words: DataFrame, coder: Coder, path: str) -> _Table:
+    """The ids of at most `TABLE` words. Words that have ranks themselves are looked up in the vocabulary."""
 
     def spell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        whole = ranks(path)
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), _spelled([w.encode() for w in b.column(0).to_pylist()], path)], names=["word", "start"])
+            some = [w for w in (x.encode() for x in b.column(0).to_pylist()) if w not in whole]
+            yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh64_intdigest(w, 42) for w in some], pa.uint64()).view(pa.int64()), _spelled(some, path)], names=["hash", "start"])
 
-    got = words.mapInArrow(spell, "word string, start array<int>").select("word", coder.fold(F.col("start")).alias("ids")).toArrow()
-    whole, out = ranks(path), {}
-    for b in got.to_batches():
-        lists = b.column(1)
-        flat, ends = lists.flatten().to_numpy().astype("<i4").tobytes(), (np.asarray(lists.offsets) - lists.offsets[0].as_py()).tolist()
-        for i, w in enumerate(b.column(0).to_pylist()):
-            rank = whole.get(w.encode())
-            out[w] = flat[4 * ends[i] : 4 * ends[i + 1]] if rank is None else rank.to_bytes(4, "little")
-    return out
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lists = b.column(1)
+            ends = np.asarray(lists.offsets).astype(np.int64)
+            flat = lists.values.to_numpy(zero_copy_only=False).astype("<i4")[ends[0] : ends[-1]]
+            yield pa.RecordBatch.from_arrays([pa.array([b.column(0).to_numpy().tobytes()]), pa.array([np.diff(ends).astype("<i4").tobytes()]), pa.array([flat.tobytes()])], names=["hashes", "sizes", "flat"])
+
+    ids = words.mapInArrow(tidied(spell), "hash long, start array<int>").select("hash", coder.fold(F.col("start")).alias("ids"))
+    got = ids.mapInArrow(tidied(pack), "hashes binary, sizes binary, flat binary").toArrow().to_pydict()  # at most `TABLE` words
+    hashes, sizes, flat = (np.frombuffer(b"".join(got[k]), t) for k, t in (("hashes", "<i8"), ("sizes", "<i4"), ("flat", "<i4")))
+    order, ends = hashes.argsort(kind="stable"), np.cumsum(sizes.astype(np.int64))
+    own = sizes[order].astype(np.int64)
+    sorted_ends = np.cumsum(own)
+    at = np.repeat((ends - sizes)[order] - sorted_ends + own, own) + np.arange(len(flat))
+    return _Table(hashes[order], sorted_ends, flat[at].tobytes())
 
 
 def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -170,7 +242,7 @@ def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *,
 
 
 def _coded(docs: DataFrame, path: str, most: int, doc_id: str, text: str) -> tuple[DataFrame, str]:
-    """doc_id, coded, folded and fresh: ids with -1, -2, ... for words that are not remembered, the ids of
+    """doc_id, coded, folded and fresh: ids with -1, -2, ... for words that are not in the table, the ids of
     those of them that the partition had not had before, and whether their numbers begin anew."""
     cut_by, spark = split_pattern(), docs.sparkSession
     coder = Coder(spark, path)
@@ -179,34 +251,31 @@ def _coded(docs: DataFrame, path: str, most: int, doc_id: str, text: str) -> tup
     def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import regex
 
-        words, get, library, whole = regex.compile(cut_by).findall, known.value.get, byte_encoder(path, cut_by)[0], ranks(path)
-        others: dict[str, bytes] = {}
+        cut, whole, table = regex.compile(cut_by).findall, ranks(path), known.value
+        seen: dict[str, bytes] = {}
         given = 0
         for b in batches:
             coded, new, cuts, fresh = [], [], [0], []
             for t in b.column(1):
-                every = words(t.as_py() or "")
-                fresh.append(len(others) > OTHERS)
+                words = cut(t.as_py() or "")
+                fresh.append(len(seen) > REMEMBERED)
                 if fresh[-1]:
-                    others, given = {}, 0
-                parts = list(map(get, every))
+                    seen, given = {}, 0
+                parts = list(map(seen.get, words))
                 if None in parts:
-                    for i, p in enumerate(parts):
-                        if p is None:
-                            w = every[i]
-                            own = others.get(w)
-                            if own is None:
-                                raw = w.encode()
-                                if raw in whole:
-                                    own = whole[raw].to_bytes(4, "little")
-                                elif len(raw) > LONG:
-                                    own = np.array(library._encode_single_piece(raw), "<i4").tobytes()
-                                else:
-                                    given += 1
-                                    own = (-given).to_bytes(4, "little", signed=True)
-                                    new.append(raw)
-                                others[w] = own
-                            parts[i] = own
+                    missing = list({w for w, p in zip(words, parts, strict=True) if p is None})
+                    raw = [w.encode() for w in missing]
+                    for w, r, own in zip(missing, raw, table.find(raw, path), strict=True):
+                        if own is None and r in whole:
+                            own = whole[r].to_bytes(4, "little")
+                        elif own is None and len(r) > LONG:
+                            own = np.array(merge_long(r, whole), "<i4").tobytes()
+                        elif own is None:
+                            given += 1
+                            own = (-given).to_bytes(4, "little", signed=True)
+                            new.append(r)
+                        seen[w] = own
+                    parts = list(map(seen.__getitem__, words))
                 coded.append(b"".join(parts))
                 cuts.append(len(new))
             lists = pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), _spelled(new, path))
@@ -241,12 +310,18 @@ def _filled(b: pa.RecordBatch, others: list[bytes]) -> Iterator[bytes]:
 
 
 @functools.cache
-def _token_table(path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """All tokens' bytes in a row, where each begins, and how long each is."""
+def _tokens(path: str) -> list[bytes]:
     by_bytes = ranks(path)
     tokens = [b""] * (max(by_bytes.values()) + 1)
     for token, rank in by_bytes.items():
         tokens[rank] = token
+    return tokens
+
+
+@functools.cache
+def _token_table(path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All tokens' bytes in a row, where each begins, and how long each is."""
+    tokens = _tokens(path)
     sizes = np.array([len(t) for t in tokens], dtype=np.int64)
     return np.frombuffer(b"".join(tokens), np.uint8), np.cumsum(sizes) - sizes, sizes
 

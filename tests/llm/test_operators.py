@@ -226,6 +226,32 @@ def test_byte_pairs(spark, docs, none):
     assert bytepairs.encode(none).count() == 0
 
 
+def test_byte_pair_digests(spark, monkeypatch):
+    path = vocab.vocabulary_path("byte_bpe_50k.tiktoken")
+    encoder, _ = vocab.byte_encoder(path, vocab.split_pattern())
+    rng = np.random.default_rng(5)
+    odd = ["".join(rng.choice(list("aehinorstu"), n)) for n in (127, 128, 129, 3000)] + ["漢字仮名" * 60, " " * 500, "\n" * 300 + "x", "!?" * 200, "\x00\x1c a", "12345678901", "it's IT'S"]
+    for most, remembered in ((5, 20), (1000, bytepairs.REMEMBERED)):
+        monkeypatch.setattr(bytepairs, "REMEMBERED", remembered)
+        rows = spark.createDataFrame([(k, t) for k, t in enumerate(odd)] + ODD + ODD, "doc_id long, text string").repartition(3)
+        want = []
+        for i, t in [*enumerate(odd), *ODD, *ODD]:
+            ids = encoder.encode_ordinary(t or "")
+            want.append((i, len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((t or "").encode()).hexdigest()))
+        got = [tuple(r) for r in bytepairs.digests(rows, most=most).collect()]
+        assert sorted(got, key=str) == sorted(want, key=str)
+
+
+def test_long_words_take_the_same_merges():
+    path = vocab.vocabulary_path("byte_bpe_50k.tiktoken")
+    encoder, _ = vocab.byte_encoder(path, vocab.split_pattern())
+    rng = np.random.default_rng(6)
+    for k in range(60):
+        n = int(rng.integers(1, 400))
+        word = (bytes(rng.integers(97, 123, n).astype(np.uint8)), b"a" * n, bytes(rng.choice(np.frombuffer(b"theanding ", np.uint8), n)))[k % 3]
+        assert bytepairs.merge_long(word, vocab.ranks(path)) == encoder._encode_single_piece(word)
+
+
 def test_lines(spark, docs, none):
     shared = "this line stands on many sites"
     body = "\n".join(prose(k, 12) for k in range(3))
