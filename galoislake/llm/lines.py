@@ -24,7 +24,7 @@ from galoislake.llm.common import settle, table
 
 MIN_SITES = 10
 MARGIN = 0.1  # six standard errors of a sketch of 4096 registers
-KEEP_SHARE = 0.5  # of the SQL only, which still leaves a document whole that would lose more
+SALTS = 64  # keys of one text, which may be that of a third of all rows
 _LG = 12
 
 
@@ -49,16 +49,21 @@ def boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float = MAR
     return settle(sure.unionByName(exact), "boilerplate")
 
 
-def cut_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float = MARGIN, keep_share: float = 0.0, *, spare_copies: bool = False, text: str = "text", site: str = "source", counts: bool = False) -> DataFrame:
-    """docs with the boilerplate lines cut from the text column; with counts, also n_lines and n_cut."""
+def cut_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, margin: float = MARGIN, *, spare_copies: bool = False, text: str = "text", site: str = "source", counts: bool = False) -> DataFrame:
+    """docs with the boilerplate lines cut from the text column; with counts, also n_lines and n_cut, which
+    replace columns of those names."""
+    if counts:
+        docs = docs.drop("n_lines", "n_cut")
     bad = boilerplate(docs, min_sites, margin, text=text, site=site)
-    identity = F.unhex(F.md5(F.col(text)))  # equal texts lose equal lines
+    others = [F.col(f"`{c}`") for c in docs.columns if c != text]
+    # Equal texts lose equal lines; the copies of one text are dealt by their other columns.
+    identity = F.concat(F.unhex(F.md5(F.col(text))), F.chr(F.pmod(F.xxhash64(*others), F.lit(SALTS))).cast("binary"))
     lines = docs.where(F.col(text).isNotNull()).select(identity.alias("_ld_key"), F.posexplode(_split(F.col(text))).alias("_ld_at", "_ld_line"))
     found = lines.select("_ld_key", "_ld_at", *_hashed(F.col("_ld_line"))).join(bad, ["_ld_a", "_ld_b"])
     cuts = found.groupBy("_ld_key").agg(F.collect_set("_ld_at").alias("_ld_cut"))
     joined = docs.withColumn("_ld_key", identity).join(cuts, "_ld_key", "left")
     cut = F.array_join(F.filter(_split(F.col(text)), lambda _, i: ~F.array_contains("_ld_cut", i)), "\n")
-    applied = F.col("_ld_cut").isNotNull() & (F.length("_ld_new") >= keep_share * F.length(text))
+    applied = F.col("_ld_cut").isNotNull()
     if spare_copies:
         applied &= F.col("_ld_new").rlike(r"\S")
     out = joined.withColumn("_ld_new", F.when(F.col("_ld_cut").isNotNull(), cut))
@@ -73,12 +78,11 @@ def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut_boilerplate(docs, counts=True)
 
 
-def cleaned_sql(docs: str, min_sites: int = MIN_SITES, keep_share: float = KEEP_SHARE) -> str:
+def cleaned_sql(docs: str, min_sites: int = MIN_SITES) -> str:
     """A SELECT of doc_id, text, source, n_lines and n_cut over a table with doc_id, text and source."""
     return f"""
-SELECT d.doc_id, CASE WHEN c.n > 0 AND length(c.kept) >= {keep_share} * length(d.text) THEN c.kept ELSE d.text END AS text, d.source,
-       coalesce(len(string_split(d.text, chr(10))), 0) AS n_lines,
-       CASE WHEN c.n > 0 AND length(c.kept) >= {keep_share} * length(d.text) THEN c.n ELSE 0 END AS n_cut
+SELECT d.doc_id, CASE WHEN c.n > 0 THEN c.kept ELSE d.text END AS text, d.source,
+       coalesce(len(string_split(d.text, chr(10))), 0) AS n_lines, coalesce(c.n, 0) AS n_cut
 FROM {docs} d LEFT JOIN (
   SELECT l.doc_id, coalesce(string_agg(l.line, chr(10) ORDER BY l.at) FILTER (WHERE b.line IS NULL), '') AS kept, count(b.line) AS n
   FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS at FROM {docs}) l

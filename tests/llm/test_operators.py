@@ -257,10 +257,12 @@ def test_lines(spark, docs, none):
     body = "\n".join(prose(k, 12) for k in range(3))
     rows = [(i, f"{shared}\n{body} {i}\n\n{shared}", f"s{i % 6}") for i in range(12)] + [(50, None, "s1"), (51, "", None), (52, shared, "s2"), (53, shared + "\n" + shared, None)]
     table = spark.createDataFrame(rows, "doc_id long, text string, source string")
-    got = {r.doc_id: (r.text, r.n_lines, r.n_cut) for r in lines.cut_boilerplate(table, min_sites=5, keep_share=0.1, counts=True).collect()}
+    got = {r.doc_id: (r.text, r.n_lines, r.n_cut) for r in lines.cut_boilerplate(table, min_sites=5, counts=True).collect()}
     for i in range(12):  # the first two lines of every body are on all six sites as well
         assert got[i] == (body.split("\n")[2] + f" {i}\n", 6, 4)
-    assert got[50] == (None, 0, 0) and got[51] == ("", 1, 0) and got[52] == (shared, 1, 0)
+    assert got[50] == (None, 0, 0) and got[51] == ("", 1, 0) and got[52] == ("", 1, 1)
+    named = lines.cut_boilerplate(table.selectExpr("*", "'x' AS n_lines", "7 AS n_cut"), min_sites=5, counts=True)
+    assert named.columns == ["doc_id", "text", "source", "n_lines", "n_cut"] and {r.doc_id: r.n_cut for r in named.collect()}[52] == 1
     assert lines.cut_boilerplate(docs).columns == docs.columns and lines.cut_boilerplate(docs).count() == len(ODD)
     assert lines.cut_boilerplate(none).count() == 0
 
