@@ -4,8 +4,6 @@ Each entry is (query(spark, sf_dir, context, mined), SQL)."""
 
 from __future__ import annotations
 
-from dataclasses import replace
-
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -180,14 +178,12 @@ def _each_day(spark, rows: DataFrame) -> DataFrame:
     return spark.sql("SELECT * FROM mine_concepts_by_day(TABLE(SELECT day, attrs FROM {rows}) PARTITION BY day)", rows=rows)
 
 
-def _day_sql(day: str) -> str:
-    w = WORKLOADS["session_mix"]
-    inside = f"right(obj, 10) = '{day}'"
-    own = replace(w, objects=f"SELECT obj FROM ({w.objects}) WHERE {inside}", incidence=f"SELECT obj, name FROM ({w.incidence}) WHERE {inside}")
-    return f"SELECT * FROM (WITH RECURSIVE {oracle.concepts_cte(own)} SELECT '{day}' AS day, intent, size, support FROM con)"
-
-
-QUERIES["udtf_concepts_by_day"] = (_by_group, " UNION ALL ".join(_day_sql(d) for d in ("2024-01-01", "2024-01-02", "2024-01-03")))
+_DAYS_SQL = f"""WITH RECURSIVE {oracle.packed(WORKLOADS['session_mix'])},
+daily AS MATERIALIZED (SELECT right(obj, 10) AS day, w, count(*) AS n FROM pk GROUP BY ALL),
+found(day, w) AS (SELECT day, bit_or(w) FROM daily GROUP BY day UNION SELECT f.day, f.w & d.w FROM found f JOIN daily d ON d.day = f.day),
+held AS (SELECT f.day, f.w, CAST(coalesce(sum(d.n), 0) AS BIGINT) AS support FROM found f LEFT JOIN daily d ON d.day = f.day AND (d.w & f.w) = f.w GROUP BY f.day, f.w)
+SELECT h.day, n.intent, n.size, h.support FROM held h JOIN ({oracle.named('found')}) n ON n.w = h.w"""
+QUERIES["udtf_concepts_by_day"] = (_by_group, _DAYS_SQL)
 
 
 def _views(spark, sf_dir, context, mined):

@@ -3,11 +3,9 @@
 import os
 
 import duckdb
-import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
-from galoislake.plans import surroundings
 
 SF = "/root/testdata/sf0.001"
 NAMES = ["scale_bands", "scale_related", "derive_objects", "close_objects", "local_closures_conversation_shape", "closure_pairs_document_meta", "context_profile_all", "covers_conversation_shape", "trace_tiny_single", "trace_tiny_all",
@@ -61,10 +59,3 @@ def test_table_function_mines_every_day(spark, tmp_path):
             family |= {f & row for f in family}
         want += [(day, ",".join(sorted(f)), len(f), sum(f <= r for r in rows.values())) for f in family]
     assert got == sorted(want)
-
-
-def test_table_function_equals_sql_on_all_days(spark, duck):
-    got = entry.queries()["udtf_concepts_by_day"](spark, SF).toPandas()
-    days = [str(d) for (d,) in duck.execute("SELECT DISTINCT CAST(ts AS DATE) FROM events").fetchall()]
-    want = pd.concat([duck.execute(surroundings._day_sql(d)).df() for d in days])
-    assert len(days) == 30 and rows(got, sorted(got.columns)) == rows(want, sorted(got.columns))
