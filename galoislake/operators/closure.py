@@ -123,7 +123,7 @@ def _by_blocks(ctx: FormalContext, seeds: DataFrame, row_block: int = ROW_BLOCK,
                 yield pa.RecordBatch.from_arrays(columns, names=[*s, *w, "support"])
 
     schema = ", ".join(f"{c} long" for c in [*s, *w, "support"])
-    static, asked = row_blocks(ctx, row_block), _seed_blocks(ctx, seeds, seed_block)
+    static, asked = row_blocks(ctx, row_block) if ctx.blocks is None else ctx.blocks, _seed_blocks(ctx, seeds, seed_block)
     # Blocks meet blocks: the rows of this join are work units of bounded size.
     return _merged(ctx, seeds, static.crossJoin(asked).mapInArrow(run, schema))
 

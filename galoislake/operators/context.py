@@ -29,6 +29,7 @@ class FormalContext:
     rows: DataFrame
     objects: DataFrame | None = None
     parts: int = 1
+    blocks: DataFrame | None = None  # the rows as kept blocks, while a method runs
 
     @property
     def spark(self) -> SparkSession:
@@ -93,6 +94,12 @@ class FormalContext:
             raise ValueError(f"no such split: {how}")
         return replace(self, rows=settle(dealt.repartition(parts, "part"), "parts"), parts=parts)
 
+    def sample(self, share: float, seed: int = 7) -> FormalContext:
+        """A context of about that share of the distinct rows, the same ones every time. Its intents are
+        intents of this context too, as both are intersections of rows, so its family is a lower bound."""
+        kept = F.pmod(F.xxhash64(F.lit(seed), *self.words), F.lit(1_000_000)) < int(share * 1_000_000)
+        return replace(self, rows=settle(self.rows.where(kept), "sample"), objects=None if self.objects is None else self.objects.where(kept))
+
     def partition_profile(self) -> DataFrame:
         """part, rows, objects, crosses and density."""
         crosses = F.sum(bits.size_of(self.columns()) * F.col("weight"))

@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
+from operator import and_
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from galoislake.functions import bits
@@ -44,6 +46,25 @@ def bottom_intent(ctx: FormalContext) -> tuple[int, ...]:
     return tuple(ctx.rows.agg(*[F.coalesce(F.bit_and(c), bits.long(x)) for c, x in zip(ctx.words, ctx.full, strict=True)]).first())
 
 
+def is_last(ctx: FormalContext, prefix: str = "w") -> Column:
+    """Whether a set is that of all attributes, the lectically last intent."""
+    return reduce(and_, [c == bits.long(x) for c, x in zip(ctx.columns(prefix), ctx.full, strict=True)])
+
+
+def local_extents(ctx: FormalContext, intents: DataFrame, part: Column) -> DataFrame:
+    """part, w0.. and obj: the objects of each part that have all of an intent."""
+    s = bits.names_of("s", len(ctx.words))
+    asked = intents.select(*[F.col(w).alias(x) for w, x in zip(ctx.words, s, strict=True)])
+    met = ctx.objects.withColumn("part", part).join(asked, bits.contains(ctx.columns(), ctx.columns("s")))
+    return met.select("part", "obj", *[F.col(x).alias(w) for w, x in zip(ctx.words, s, strict=True)])
+
+
+def merge_extents(ctx: FormalContext, local: DataFrame) -> DataFrame:
+    """w0.. and obj: the extent over all parts is the union of the parts' extents. Parts hold different
+    objects, so no row is dropped and nothing moves."""
+    return local.select(*ctx.words, "obj")
+
+
 def seeds_of(ctx: FormalContext, intents: DataFrame, keep: Sequence[str] = ()) -> DataFrame:
     """All (d, p) with p outside of d: rank and the seed words s0.., beside the columns to keep."""
     ranks = ctx.spark.range(ctx.m).select(F.col("id").cast("int").alias("rank"))

@@ -162,7 +162,52 @@ for _w in ("lineitem_profile", "document_meta", "session_keys"):
         _on(_w, lambda ctx: derive.implied(ctx, _attribute_seeds(ctx, True).drop("p", "q")).select(_names(ctx, "s").alias("seed"), ctx.string().alias("closure"), _names(ctx, "i").alias("implied"), "support")),
     )
 _add("derive_objects", oracle.over_rows("document_meta", "SELECT obj FROM inc WHERE name IN ('lang=en', 'len=m') GROUP BY obj HAVING count(*) = 2"), _on("document_meta", lambda ctx: derive.objects_with(ctx, ["lang=en", "len=m"])))
-_add("derive_attributes", oracle.over_rows("document_meta", "SELECT name FROM inc WHERE obj < 4 GROUP BY name HAVING count(*) = 4"), _on("document_meta", lambda ctx: derive.common_attributes(ctx, ctx.objects.where("obj < 4")).select(F.explode(bits.intent_array(ctx.columns(), ctx.attributes)).alias("name"))))
+_add("derive_attributes", oracle.over_rows("document_meta", "SELECT name FROM inc WHERE obj IN (1, 5, 7) GROUP BY name HAVING count(*) = 3"), _on("document_meta", lambda ctx: derive.common_attributes(ctx, ctx.objects.where("obj IN (1, 5, 7)")).select(F.explode(bits.intent_array(ctx.columns(), ctx.attributes)).alias("name"))))
+_add("derive_attributes_of_none", oracle.over_rows("document_meta", "SELECT name FROM attr"), _on("document_meta", lambda ctx: derive.common_attributes(ctx, ctx.objects.where("obj < 0")).select(F.explode(bits.intent_array(ctx.columns(), ctx.attributes)).alias("name"))))
+for _w in ("tiny", "lineitem_profile", "conversation_shape", "page_tags"):
+    _add(f"bottom_intent_{_w}", oracle.over_rows(_w, f", bt AS (SELECT bit_and(w) AS w FROM rws) SELECT n.intent, n.size, (SELECT count(*) FROM pk) AS support FROM ({oracle.named('bt')}) n"), _on(_w, lambda ctx: _shown(ctx, rounds._start(ctx))))
+_add(
+    "oplus_conversation_shape",
+    oracle.concepts("conversation_shape", f""", sd AS (SELECT c.intent AS d, a.name AS p, ((c.w >> ({oracle._TOP} + 1 - a.rank)) << ({oracle._TOP} + 1 - a.rank)) | (CAST(1 AS HUGEINT) << ({oracle._TOP} - a.rank)) AS s FROM con c JOIN attr a ON ((c.w >> ({oracle._TOP} - a.rank)) & 1) = 0),
+        cl AS (SELECT s.d, s.p, coalesce(bit_and(r.w), (SELECT f FROM everything)) AS w, CAST(coalesce(sum(r.n), 0) AS BIGINT) AS support FROM sd s LEFT JOIN rws r ON (r.w & s.s) = s.s GROUP BY s.d, s.p, s.s)
+        SELECT l.d, l.p, n.intent AS closure, l.support FROM cl l JOIN con n ON n.w = l.w"""),
+    lambda spark, sf_dir: _closed_pairs(mined(spark, sf_dir, "conversation_shape")),
+)
+_add(
+    "concept_test_tiny",
+    oracle.concepts("tiny", "SELECT i AS intent, i IN (SELECT intent FROM con) AS concept, i = (SELECT n.intent FROM (" + oracle.named("everything", "", "f") + ") n) AS last FROM (VALUES (''), ('d'), ('a,d,f'), ('a,b'), ('c'), ('a,b,c,d,e,f,g')) v(i)"),
+    lambda spark, sf_dir: _tested(context(spark, sf_dir, "tiny")),
+)
+for _w in ("document_meta", "conversation_shape"):
+    _add(
+        f"extent_union_{_w}",
+        oracle.over_rows(_w, ", asked AS (SELECT name FROM attr) SELECT a.name AS intent, CAST(i.obj % 3 AS INT) AS part, i.obj FROM asked a JOIN inc i ON i.name = a.name"),
+        _on(_w, lambda ctx: _local_extents(ctx)),
+    )
+    _add(
+        f"extent_of_parts_{_w}",
+        oracle.over_rows(_w, "SELECT a.name AS intent, i.obj FROM attr a JOIN inc i ON i.name = a.name"),
+        _on(_w, lambda ctx: derive.merge_extents(ctx, derive.local_extents(ctx, _single_sets(ctx), F.pmod("obj", F.lit(3)))).select(ctx.string().alias("intent"), "obj")),
+    )
+for _w in ("tiny", "conversation_shape", "nation_activity"):
+    _add(f"extents_by_parents_{_w}", oracle.concepts(_w, "SELECT c.intent, k.obj FROM con c JOIN pk k ON (k.w & c.w) = c.w"), lambda spark, sf_dir, w=_w: _extents_down(mined(spark, sf_dir, w)))
+_add(
+    "sample_family_session_mix",
+    oracle.concepts("session_mix", "SELECT count(*) > 0 AS found, TRUE AS inside FROM con"),
+    lambda spark, sf_dir: _sampled(mined(spark, sf_dir, "session_mix")),
+)
+_add(
+    "concept_measures_session_mix",
+    oracle.concepts("session_mix", """, t AS (SELECT sum(n) AS objects FROM rws), x AS (SELECT c.intent, c.w, c.support, c.size, sum(r.n * (CASE WHEN (r.w & c.w) = c.w THEN bit_count(r.w) ELSE bit_count(r.w & c.w) END)) AS crosses FROM con c JOIN rws r ON bit_count(r.w & c.w) > 0 GROUP BY ALL)
+        SELECT intent, support, support / objects AS relative, support * size / crosses AS separation FROM x, t"""),
+    lambda spark, sf_dir: (lambda r: lattice.stability(r.context, r.concepts).select(r.context.string().alias("intent"), "support", "relative", "separation"))(mined(spark, sf_dir, "session_mix")),
+)
+_add(
+    "paths_up_nation_activity",
+    oracle.concepts("nation_activity", """, e AS (SELECT c.w AS child, p.w AS parent FROM con c JOIN con p ON (c.w & p.w) = p.w AND c.w <> p.w WHERE NOT EXISTS (SELECT 1 FROM con b WHERE (c.w & b.w) = b.w AND (b.w & p.w) = p.w AND b.w <> c.w AND b.w <> p.w)),
+        up(w, steps) AS (SELECT f, 0 FROM everything UNION SELECT e.parent, u.steps + 1 FROM up u JOIN e ON e.child = u.w) SELECT c.intent, CAST(min(u.steps) AS INT) AS steps FROM up u JOIN con c ON c.w = u.w GROUP BY c.intent"""),
+    lambda spark, sf_dir: _up(mined(spark, sf_dir, "nation_activity")),
+)
 _add("close_objects", oracle.over_rows("document_meta", ", sh AS (SELECT bit_and(w) AS s FROM pk WHERE obj IN (1, 5)) SELECT obj FROM pk, sh WHERE (w & s) = s"), _on("document_meta", lambda ctx: derive.close_objects(ctx, ctx.objects.where("obj IN (1, 5)"))))
 _TRACE = """, parts(obj, part) AS (VALUES (1, 0), (2, 0), (3, 0), (4, 1), (5, 1), (6, 1)),
 ds AS (SELECT d, bit_or(CASE WHEN name IS NULL THEN CAST(0 AS HUGEINT) ELSE CAST(1 AS HUGEINT) << ({t} - rank) END) AS dw FROM (VALUES {values}) v(d) LEFT JOIN attr ON contains(d, name) GROUP BY d),
@@ -181,7 +226,9 @@ def _traced(ctx: FormalContext, intents: list[str]) -> DataFrame:
     return rounds.trace(replace(ctx, rows=settle(rows.select(*ctx.words, "weight", "part"), "parts"), parts=2), ctx.sets([list(d) for d in intents]))
 
 
-for _name, _ds in (("single", ("", "f", "e", "d")), ("all", ("", "cg", "f", "e"))):
+# The intents of the worked example in lectic order.
+_LECTIC = ("", "f", "e", "d", "df", "de", "cg", "b", "bf", "bd", "bdf", "bde", "bcfg", "bcdfg", "a", "ae", "adf", "adef", "aceg", "abdf")
+for _name, _ds in (("single", ("", "f", "e", "d")), ("all", ("", "cg", "f", "e")), ("every_round", _LECTIC)):
     _sql = _TRACE.format(t=_T, values=", ".join(f"('{d}')" for d in _ds), named=oracle.named("(SELECT dw AS w FROM mg UNION SELECT l1 FROM mg UNION SELECT l2 FROM mg UNION SELECT w FROM mg)"))
     _add(f"trace_tiny_{_name}", oracle.over_rows("tiny", _sql), _on("tiny", lambda ctx, ds=_ds: _traced(ctx, list(ds))))
 
@@ -237,6 +284,63 @@ def _meets(r: rounds.MiningResult) -> DataFrame:
     return lattice.meets_and_joins(ctx, pairs).select(_names(ctx, "a").alias("a"), _names(ctx, "b").alias("b"), ctx.string().alias("meet"), _names(ctx, "j").alias("join"))
 
 
+def _closed_pairs(r: rounds.MiningResult) -> DataFrame:
+    ctx = r.context
+    name = F.element_at(F.array(*[F.lit(a) for a in ctx.attributes]), F.col("rank") + 1)
+    return derive.oplus(ctx, r.concepts).select(_names(ctx, "d").alias("d"), name.alias("p"), ctx.string().alias("closure"), "support")
+
+
+def _tested(ctx: FormalContext) -> DataFrame:
+    """Whether sets of attributes are concepts with all objects that have them."""
+    out = []
+    for text in ("", "d", "a,d,f", "a,b", "c", "a,b,c,d,e,f,g"):
+        names = text.split(",") if text else []
+        last = ctx.sets([names]).select(derive.is_last(ctx)).first()[0]
+        out.append((text, derive.is_concept(ctx, derive.objects_with(ctx, names), names), last))
+    return ctx.spark.createDataFrame(out, "intent string, concept boolean, last boolean")
+
+
+def _single_sets(ctx: FormalContext) -> DataFrame:
+    return _attribute_seeds(ctx).select(*[F.col(f"s{i}").alias(w) for i, w in enumerate(ctx.words)])
+
+
+def _local_extents(ctx: FormalContext) -> DataFrame:
+    return derive.local_extents(ctx, _single_sets(ctx), F.pmod("obj", F.lit(3)).cast("int")).select(ctx.string().alias("intent"), "part", "obj")
+
+
+def _extents_down(r: rounds.MiningResult) -> DataFrame:
+    """All extents from the top concept downwards: each from the extent of one parent and one added attribute."""
+    ctx, words = r.context, r.context.words
+    d = bits.names_of("d", len(words))
+    edges = lattice.lower_covers(ctx, r.concepts)
+    added = bits.head_of([F.col(w).bitwiseAND(F.bitwise_not(F.col(x))) for w, x in zip(words, d, strict=True)], ctx.m)
+    tree = settle(edges.groupBy(*words).agg(F.min(F.struct(*d)).alias("up")).select(*words, *[F.col(f"up.{x}").alias(x) for x in d]).withColumn("rank", added), "tree")
+    top = rounds._start(ctx).select(*words)
+    last = settle(top.join(ctx.objects.select("obj"), how="cross"), "extents")  # all objects have the top intent
+    found, reached = last, top
+    for _ in range(ctx.m):
+        reached = reached.select(*[F.col(w).alias(x) for w, x in zip(words, d, strict=True)])
+        step = settle(tree.join(reached, d, "left_semi"), "step")
+        if step.isEmpty():
+            break
+        last = settle(derive.extents_from_parents(ctx, step, last), "extents")
+        found, reached = found.unionByName(last), step.select(*words)
+    return found.select(ctx.string().alias("intent"), "obj")
+
+
+def _sampled(r: rounds.MiningResult) -> DataFrame:
+    """Whether the family of a sample of half of the rows has intents, and all of them are intents of the whole."""
+    ctx = r.context
+    some = rounds.round_branch(ctx.sample(0.5)).strings().select("intent")
+    return some.join(r.strings().select("intent", F.lit(1).alias("own")), "intent", "left").agg((F.count("*") > 0).alias("found"), (F.count("own") == F.count("*")).alias("inside"))
+
+
+def _up(r: rounds.MiningResult) -> DataFrame:
+    ctx = r.context
+    last = r.concepts.where(derive.is_last(ctx)).select(*ctx.words)
+    return lattice.paths_up(ctx, lattice.lower_covers(ctx, r.concepts), last).select(ctx.string().alias("intent"), "steps")
+
+
 def _family_diff(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Intents that are lost when the English documents go."""
     ctx = context(spark, sf_dir, "document_meta")

@@ -22,17 +22,26 @@ def profiles(contexts: dict[str, FormalContext]) -> DataFrame:
     return out
 
 
-def timed(run: Callable[[], MiningResult]) -> dict:
-    """Seconds, rounds and intents of one run, with the rows that its merges shipped at most."""
+def written(spark: SparkSession) -> dict[str, int]:
+    """Bytes that tasks of this session wrote to shuffles, and milliseconds that they ran, so far."""
+    time.sleep(0.3)  # executors' sums are published with a delay
+    each = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    own = [each.apply(i) for i in range(each.size())]
+    return {"shuffle_bytes": sum(e.totalShuffleWrite() for e in own), "task_ms": sum(e.totalDuration() for e in own)}
+
+
+def timed(run: Callable[[], MiningResult], spark: SparkSession | None = None) -> dict:
+    """Seconds, rounds and intents of one run, the local closures that its merges met (one for each part
+    and seed at most), and with a session the bytes shipped and the task time, as measured."""
+    before = written(spark) if spark else {}
     began = time.time()
     result = run()
     intents = result.concepts.count()
-    return {
+    out = {
         "elapsed_s": time.time() - began, "rounds": result.rounds, "productive_rounds": result.productive_rounds, "intents": intents,
-        "pairs": sum(m["pairs"] for m in result.metrics), "seeds": sum(m["seeds"] for m in result.metrics),
-        "shipped_rows": sum(m["shipped_rows"] for m in result.metrics), "merges": sum(m["merges"] for m in result.metrics),
-        "shipped_bytes": sum(m["shipped_rows"] for m in result.metrics) * 16 * len(result.context.words),
+        "pairs": sum(m["pairs"] for m in result.metrics), "seeds": sum(m["seeds"] for m in result.metrics), "local_closures": sum(m["merges"] for m in result.metrics),
     }
+    return out | ({k: v - before[k] for k, v in written(spark).items()} if spark else {})
 
 
 def saving(seconds: float, base: float) -> float:

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
 from galoislake.functions import bits
-from galoislake.operators.closure import close, local_closures, merge_local
+from galoislake.operators.closure import close, local_closures, merge_local, row_blocks
 from galoislake.operators.context import FormalContext
 from galoislake.operators.derive import bottom_intent, seeds_of
 from galoislake.plans.storage import forget, settle, settle_counted
@@ -42,8 +42,8 @@ class MiningResult:
         return self.concepts.select(self.context.string().alias("intent"), bits.size_of(self.context.columns()).alias("size"), "support")
 
     def metrics_frame(self) -> DataFrame:
-        schema = "round int, pairs long, seeds long, new long, merges long, shipped_rows long, elapsed_s double"
-        return self.context.spark.createDataFrame([tuple(m[k] for k in ("round", "pairs", "seeds", "new", "merges", "shipped_rows", "elapsed_s")) for m in self.metrics], schema)
+        schema = "round int, pairs long, seeds long, new long, merges long, elapsed_s double"
+        return self.context.spark.createDataFrame([tuple(m[k] for k in ("round", "pairs", "seeds", "new", "merges", "elapsed_s")) for m in self.metrics], schema)
 
 
 class TooManyIntents(RuntimeError):
@@ -52,7 +52,8 @@ class TooManyIntents(RuntimeError):
 
 def _prepared(ctx: FormalContext, static: str) -> FormalContext:
     if static == "cached":
-        return replace(ctx, rows=ctx.rows.persist(StorageLevel.MEMORY_AND_DISK))
+        kept = replace(ctx, rows=ctx.rows.persist(StorageLevel.MEMORY_AND_DISK), blocks=None)
+        return replace(kept, blocks=row_blocks(kept).persist(StorageLevel.MEMORY_AND_DISK))
     if static != "reload":
         raise ValueError(f"no such static mode: {static}")
     return ctx
@@ -143,6 +144,8 @@ def round_all(ctx: FormalContext, parts: int | None = None, registry: str = "two
 def _done(ctx: FormalContext, concepts: DataFrame, metrics: list[dict], static: str) -> MiningResult:
     if static == "cached":
         ctx.rows.unpersist()
+        ctx.blocks.unpersist()
+        ctx = replace(ctx, blocks=None)
     return MiningResult(ctx, concepts, tuple(metrics))
 
 
@@ -164,7 +167,7 @@ def _bounds(ctx: FormalContext, min_support: int, max_size: int | None):
 
 
 def _metric(r: int, pairs: int, seeds: int, new: int, ctx: FormalContext, began: float) -> dict:
-    return {"round": r, "pairs": pairs, "seeds": seeds, "new": new, "merges": ctx.parts * seeds, "shipped_rows": ctx.parts * seeds, "elapsed_s": time.time() - began}
+    return {"round": r, "pairs": pairs, "seeds": seeds, "new": new, "merges": ctx.parts * seeds, "elapsed_s": time.time() - began}
 
 
 def round_branch(ctx: FormalContext, parts: int | None = None, static: str = "cached", strategy: str | None = None, min_support: int = 0, max_rounds: int | None = None) -> MiningResult:
@@ -202,8 +205,9 @@ def round_single(ctx: FormalContext, parts: int = 2, max_rounds: int | None = No
     """One intent is accepted in every round: the lectically next one.
 
     Local closures stay visible by part; those of one attribute merge, and of the feasible results the
-    one of the largest attribute wins. certify looks first for attributes that some part proves feasible
-    alone (its local closure adds nothing before them, and the closure is a subset of it)."""
+    one of the largest attribute wins. certify first closes all seeds in part 0 alone: the closure is a
+    subset of the local one, so an attribute whose local closure adds nothing before it is feasible, and
+    the seeds of lower attributes are never closed in the other parts."""
     if max_rounds is None and ctx.m * ctx.rows.count() > LONG_RUN:
         raise ValueError("a round for each concept: give max_rounds for a context of this size")
     ctx = _prepared(ctx if "part" in ctx.rows.columns else ctx.split(parts), static)
@@ -215,13 +219,12 @@ def round_single(ctx: FormalContext, parts: int = 2, max_rounds: int | None = No
         began = time.time()
         now = spark.createDataFrame([d], schema)
         seeds = seeds_of(ctx, now)
-        local = local_closures(ctx, seeds)
-        ranked = local.join(F.broadcast(seeds), bits.names_of("s", len(words)))
-        current = [bits.long(x) for x in d]
+        names, current = bits.names_of("s", len(words)), [bits.long(x) for x in d]
         if certify:
-            sure = ranked.where(bits.lectic_less_at(current, ctx.columns(), F.col("rank"))).agg(F.max("rank")).first()[0]
-            # Attributes below a proven one cannot win; those above still need all parts.
-            ranked = ranked.where(F.col("rank") >= F.lit(-1 if sure is None else sure))
+            first = replace(ctx, rows=ctx.rows.where(F.col("part") == 0), blocks=None)
+            proven = local_closures(first, seeds).join(F.broadcast(seeds), names).where(bits.lectic_less_at(current, ctx.columns(), F.col("rank"))).agg(F.max("rank")).first()[0]
+            seeds = seeds.where(F.col("rank") >= F.lit(-1 if proven is None else proven))
+        ranked = local_closures(ctx, seeds).join(F.broadcast(seeds), names)
         merged = ranked.groupBy("rank").agg(*[F.bit_and(c).alias(c) for c in words])
         best = merged.where(bits.lectic_less_at(current, ctx.columns(), F.col("rank"))).orderBy(F.desc("rank")).limit(1).first()
         asked = ctx.m - sum(x.bit_count() for x in d)
