@@ -6,10 +6,11 @@ import duckdb
 import pytest
 
 import __spark_entry__ as entry
+from galoislake.streaming import queries
 
 SF = "/root/testdata/sf0.001"
 NAMES = ["scale_bands", "scale_related", "derive_objects", "close_objects", "local_closures_conversation_shape", "closure_pairs_document_meta", "context_profile_all", "covers_conversation_shape", "trace_tiny_single", "trace_tiny_all",
-         "stream_session_context", "stream_family_session_mix", "udtf_concepts_by_day", "sql_fn_feasible", "roundtrip_baskets", "sizes_cube", "asof_purchase_view", "extents_nation_region"]
+         "stream_session_context", "stream_family_session_mix", "stream_common_by_user", "stream_session_windows", "stream_sliding_windows", "concept_test_tiny", "extents_by_parents_tiny", "paths_up_nation_activity", "trace_tiny_every_round", "derive_attributes", "udtf_concepts_by_day", "sql_fn_feasible", "roundtrip_baskets", "sizes_cube", "asof_purchase_view", "extents_nation_region"]
 
 
 @pytest.fixture(scope="module")
@@ -59,3 +60,34 @@ def test_table_function_mines_every_day(spark, tmp_path):
             family |= {f & row for f in family}
         want += [(day, ",".join(sorted(f)), len(f), sum(f <= r for r in rows.values())) for f in family]
     assert got == sorted(want)
+
+
+def made_events(spark, rows):
+    frame = spark.createDataFrame([(k, u, ts, t, 1.0, "{}") for k, (u, ts, t) in rows], "event_id long, user_id long, ts string, event_type string, value double, props string")
+    return frame.selectExpr("event_id", "user_id", "CAST(ts AS TIMESTAMP_NTZ) AS ts", "event_type", "value", "props")
+
+
+def test_streams_grow_by_whole_days(spark, tmp_path):
+    names = ("part=0", "part=1", "type=cart", "type=view", "v=lo")
+    batches = [
+        [(0, (1, "2024-01-01 01:00:00", "view")), (1, (2, "2024-01-01 02:00:00", "cart"))],
+        [(2, (1, "2024-01-01 07:00:00", "cart")), (2, (1, "2024-01-01 07:00:00", "cart")), (3, (2, "2024-01-02 01:00:00", "view"))],  # the first day goes on; one row is repeated
+        [(4, (3, "2024-01-09 01:00:00", "view"))],
+        [(7, (3, "2024-01-09 02:00:00", "view"))],  # rows are late by the watermark of the batch before
+        [(5, (3, "2024-01-01 08:00:00", "view")), (6, (3, "2024-01-20 01:00:00", "view"))],  # too late by far, and one that closes the rest
+    ]
+    for k, rows in enumerate(batches):
+        made_events(spark, rows).repartition(1).write.parquet(str(tmp_path / "in" / str(k)))
+    path = str(tmp_path / "family")
+    stream = lambda: queries.events(spark, str(tmp_path / "in"), files_a_batch=1)
+    last = queries.grow_family(spark, stream(), names, path)
+    got = {r.w0 for r in spark.read.parquet(f"{path}/version={last}").collect()}
+    pack = lambda some: sum(1 << 62 - names.index(n) for n in some)
+    days = [{"type=view", "type=cart", "part=0", "part=1", "v=lo"}, {"type=cart", "part=0", "v=lo"}, {"type=view", "part=0", "v=lo"}]
+    family = {frozenset(names)}
+    for d in days:
+        family |= {f & d for f in family}
+    assert got == {pack(f) for f in family}
+    # A second run over the same files writes the same versions again.
+    assert queries.grow_family(spark, stream(), names, path) == last
+    assert {r.w0 for r in spark.read.parquet(f"{path}/version={last}").collect()} == got
