@@ -7,11 +7,14 @@ give back is outside on the best path, and Viterbi runs over what lies between s
 shapes of the token and its neighbours, announcing words before and after it, and features of the whole
 file. Weights come from maximum likelihood (forward and backward sums over padded batches) on windows of
 tokens that the patterns label; the announcing words are hidden in half of the training windows, so the
-field learns the shape of a secret as well as its announcement.
+field learns the shape of a secret as well as its announcement. Each labelled secret also stands in a
+variant of its surroundings (`CUES`, `PREFIXES`) that no pattern finds; all other windows, with their dates,
+numbers, addresses and names, are examples of what is no secret.
 
-`TRAINING_CHUNKS` bounds the training sample: the distinct windows with the smallest hashes among those of
-all documents, where windows with secrets and with digits have better chances (`CHANCES`). Everything else
-covers every character of every text.
+`TRAINING_ROWS` and `TRAINING_CHUNKS` bound the training sample: the distinct texts with the smallest
+hashes among all documents, and the distinct windows with the smallest hashes in those; texts and windows
+with secrets, and windows with digits, have better chances (`CHANCES`). Everything else covers every
+character of every text.
 
 Defined results: a null text is an empty one and has no spans; repeated rows are scanned each; spans
 of the field that touch a base span are dropped, base spans never; with no window to learn from, the
@@ -21,9 +24,12 @@ and keeps all others.
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import math
+import random
 import re
+import string
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -39,10 +45,15 @@ from galoislake.llm.common import table, tidied
 # The words that announce a secret, the kinds of spans and their least lengths.
 KEYWORDS = ("password", "passwd", "secret", "token", "api_?key")
 KINDS = ("assign", "access", "hex", "crf")
-TRAINING_CHUNKS = 20_000
+# How a secret may stand in a text where no pattern finds it; the field learns from such variants.
+CUES = ("", "", "bearer ", "pwd=", "passphrase: ", "auth_key=", "credential ", "access key ", "private key: ", "login with ", "signature=", "the key is ", "use ", "pass ")
+PREFIXES = ("", "", "", "ghp_", "sk-", "xoxb-", "AIza")
+ALPHABETS = ("0123456789abcdef", string.ascii_lowercase + string.digits, string.ascii_letters + string.digits, string.ascii_letters)
+VARIANTS = 8  # of each secret
+TRAINING_ROWS, TRAINING_CHUNKS = 5_000, 20_000
 WIDTH = 1 << 12
 WINDOW = 16  # tokens of a training window
-CHANCES = (1, 8, 64)  # of a window to be learned from: plain, with a digit, with a secret
+CHANCES = (1, 8, 64)  # of a window to be learned from: plain, with a digit, with a secret; the last one also of a text that may hold one
 TOKENS = 1 << 17  # about as many are held at once
 
 _ANY_CASE = "|".join("".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in k) for k in KEYWORDS)
@@ -51,7 +62,7 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{32,}")  # a run of that length is a maximal run of the class
 _HINTS = ("passw", "secret", "token", "api")
 _PIECES = re.compile(r"\s*(?:[^\W_]+|[^\w\s]|_)")  # each token with the white space before it
-_ANNOUNCING = re.compile("|".join(KEYWORDS))
+_ANNOUNCING = re.compile("|".join(KEYWORDS)).search
 
 
 def base_spans(text: str) -> list[tuple[int, int, str]]:
@@ -69,8 +80,11 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 def _shape(token: str) -> str:
     if not token[0].isalnum():
         return token if token.isascii() else "other"
-    kinds = ("d" if any(c.isdigit() for c in token) else "") + ("a" if any(c.islower() for c in token) else "") + ("A" if any(c.isupper() for c in token) else "") + ("" if token.isascii() else "u")
-    return f"{kinds}{min(9, len(token) // 4)}{'h' if re.fullmatch('[0-9a-f]+', token) else ''}"
+    low = token.lower()
+    digits = not token.isalpha() and any(c.isdigit() for c in token)
+    upper = "B" if token[1:] != low[1:] else "A" if token[0] != low[0] else ""
+    hexadecimal = "" if token.strip("0123456789abcdef") else "h"
+    return f"{'d' if digits else ''}{'a' if token != token.upper() else ''}{upper}{'' if token.isascii() else 'u'}{min(9, len(token) // 4)}{hexadecimal}"
 
 
 def _crc(x: str) -> int:
@@ -78,6 +92,21 @@ def _crc(x: str) -> int:
 
 
 _LENGTH, _BLANKS, _SHAPE, _MIXED, _VARIETY, _OWN, _TOLD, _PART, _DIGIT = range(9)
+
+
+_MIXTURES = re.compile(r"[0-9][A-Za-z]|[A-Za-z][0-9]").findall
+_VARIETIES = [int(2 * math.log2(n + 1)) for n in range(256)]
+
+
+_PARTS = {"api": 1, "_": 2, "key": 3}  # of an announcing word that is several tokens
+
+
+@functools.cache
+def _place(kind: str, value: object) -> int:
+    return 1 + (_crc(f"{kind}={value}") >> 2)
+
+
+_UNMIXED = _place("m", 0) % WIDTH
 _HIDDEN = _crc("w=") % WIDTH
 
 
@@ -86,30 +115,55 @@ class _Tokens(dict):
 
     def __init__(self):
         super().__init__()
-        self.rows, self.chars = np.zeros((1 << 12, 9), dtype=np.int64), 0
+        self._made, self._fresh, self.chars = np.zeros((0, 9), dtype=np.int32), [0] * 9, 0
+        self._held, self._scores = None, np.zeros((0, 3), dtype=np.float32)
         self[""] = 0
 
     def __missing__(self, token: str) -> int:
         k = self[token] = len(self)
-        if k == len(self.rows):
-            self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
         t = token.lstrip()
-        low, shape = t.lower(), _shape(t)
-        mixed, variety = len(re.findall(r"[0-9][A-Za-z]|[A-Za-z][0-9]", t)), int(2 * math.log2(len(set(t)) + 1))
-        part = {"api": 1, "_": 2, "key": 3}.get(low, 0)
+        low, letters, size = t.lower(), t.isalpha(), len(t)
         self.chars += len(token)
-        self.rows[k] = [len(token), len(token) - len(t), 1 + _crc(f"s={shape}"), _crc(f"m={min(6, mixed)}") % WIDTH, _crc(f"v={variety}") % WIDTH, _crc(f"w={low if len(t) < 9 and t.isalpha() else ''}") % WIDTH, bool(_ANNOUNCING.search(low)), part, any(c.isdigit() for c in t)]
+        if letters:
+            mixed, digit = _UNMIXED, 0
+        else:
+            mixed, digit = _place("m", min(6, len(_MIXTURES(t))) if size > 1 else 0) % WIDTH, int(any(c.isdigit() for c in t))
+        own = _crc("w=" + low) % WIDTH if letters and size < 9 else _HIDDEN
+        told = int(size > 4 and _ANNOUNCING(low) is not None)
+        self._fresh += (len(token), len(token) - size, _place("s", _shape(t)), mixed, _place("v", _VARIETIES[min(len(set(t)), 255)]) % WIDTH, own, told, _PARTS.get(low, 0), digit)
         return k
 
+    @property
+    def rows(self) -> np.ndarray:
+        if self._fresh:
+            self._made = np.concatenate([self._made, np.array(self._fresh, dtype=np.int32).reshape(-1, 9)])
+            self._fresh = []
+        return self._made
+
+    def scores(self, field: Field) -> np.ndarray:
+        """What each distinct token scores by itself; computed once a token and field."""
+        if self._held is not field:
+            self._held, self._scores = field, np.zeros((0, 3), dtype=np.float32)
+        if len(self._scores) < len(self):
+            some = self.rows[len(self._scores) :]
+            new = sum(field.light[f] for f in _own_features(some, some[:, _OWN]))
+            self._scores = np.concatenate([self._scores, new])
+        return self._scores
+
 
 _KNOWN = _Tokens()
 
 
 def _hashed(kind: int, a: np.ndarray, b: np.ndarray | int) -> np.ndarray:
     """Places of pairs of numbers among the weights."""
-    x = a.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.asarray(b).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(kind * 0x165667B19E3779F9 & (1 << 64) - 1)
-    x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
-    return (x >> np.uint64(52)).astype(np.int64)
+    x = a.astype(np.uint32) * np.uint32(0x9E3779B1) + np.asarray(b).astype(np.uint32) * np.uint32(0x85EBCA77) + np.uint32(kind * 0xC2B2AE3D & 0xFFFFFFFF)
+    x = (x ^ (x >> np.uint32(15))) * np.uint32(0x2C1B3C6D)
+    return (x >> np.uint32(20)).astype(np.int32)
+
+
+def _own_features(k: np.ndarray, own: np.ndarray) -> list[np.ndarray]:
+    """Hashed features of tokens by themselves. k: columns as in _Tokens."""
+    return [_hashed(1, k[:, _SHAPE], 0), k[:, _MIXED], k[:, _VARIETY], own, _hashed(10, k[:, _MIXED], k[:, _SHAPE] * 64 + k[:, _VARIETY] % 64)]
 
 
 _NEAR = np.array([0, 1, 2, 3, 3, 4, 4, 4, 4, 0])  # classes of distances to announcing words; 0 beyond
@@ -120,19 +174,25 @@ class _Chain:
     """Texts as one row of tokens with a border before and after each. Columns of `known` as in _Tokens."""
 
     known: np.ndarray
+    numbers: np.ndarray  # of the tokens
     border: np.ndarray  # places of the borders
     files: np.ndarray  # a number for each text's features as a whole
 
     def starts(self) -> np.ndarray:
         """Of each token (without its white space) in its text."""
-        ends = np.cumsum(self.known[:, _LENGTH])
+        ends = np.cumsum(self.known[:, _LENGTH], dtype=np.int64)
         base = np.repeat(ends[self.border], np.diff(np.append(self.border, len(ends))))
         return ends - self.known[:, _LENGTH] + self.known[:, _BLANKS] - base
 
     def features(self, hide: np.ndarray | bool = False) -> list[np.ndarray]:
         """Hashed features of every token, one array for each. hide: leave announcing words out."""
+        own = np.where(hide, _HIDDEN, self.known[:, _OWN])
+        return _own_features(self.known, own) + self.surroundings(own, hide)
+
+    def surroundings(self, own: np.ndarray, hide: np.ndarray | bool = False) -> list[np.ndarray]:
+        """The features that tokens have by their place."""
         k, n = self.known, len(self.known)
-        at, shape, edge = np.arange(n), k[:, _SHAPE], np.zeros(n, dtype=bool)
+        at, shape, edge = np.arange(n), np.ascontiguousarray(k[:, _SHAPE]).view(np.uint32), np.zeros(n, dtype=bool)
         edge[self.border] = True
         gap = (k[:, _BLANKS] > 0) | edge
         one, two = np.roll(k[:, _PART], 1), np.roll(k[:, _PART], 2)
@@ -145,10 +205,12 @@ class _Chain:
         after = np.where(told[right], _NEAR[np.minimum(right - at, 9)], 0)
         place = np.minimum(at - np.maximum.accumulate(np.where(gap, at, 0)), 4)
         file = np.repeat(self.files, np.diff(np.append(self.border, n)))
-        own, before, after = np.where(hide, _HIDDEN, k[:, _OWN]), np.where(hide, 0, before), np.where(hide, 0, after)
+        before, after = np.where(hide, 0, before), np.where(hide, 0, after)
+        second = np.where(np.roll(edge, 1), 0, np.roll(own, 2))  # of the same text
         return [
-            _hashed(1, shape, 0), k[:, _MIXED], k[:, _VARIETY], own, _hashed(2, np.roll(shape, 1), shape * 2 + gap), _hashed(3, shape, np.roll(shape, -1) * 2 + np.roll(gap, -1)),
+            _hashed(2, np.roll(shape, 1), shape * 2 + gap), _hashed(3, shape, np.roll(shape, -1) * 2 + np.roll(gap, -1)),
             _hashed(4, shape, before), _hashed(5, shape, after), _hashed(6, shape, file), _hashed(7, shape, place),
+            _hashed(8, np.roll(own, 1), shape), _hashed(9, second, shape),
         ]
 
 
@@ -168,7 +230,7 @@ def _chains(texts: list[str]) -> Iterator[tuple[int, _Chain]]:
             flat = np.zeros(size + 1, dtype=np.int64)
             for b, x in zip(border, numbers, strict=True):
                 flat[b + 1 : b + 1 + len(x)] = x
-            yield first, _Chain(_KNOWN.rows[flat], np.array([*border, size]), np.array([*files, 0]))
+            yield first, _Chain(_KNOWN.rows[flat], flat, np.array([*border, size]), np.array([*files, 0]))
             first, numbers, border, files, size = i + 1, [], [], [], 0
 
 
@@ -185,13 +247,17 @@ def _lse(x: np.ndarray, axis: int) -> np.ndarray:
 _NEVER = -1e4  # an inside tag neither begins a chain nor follows an outside tag
 
 
-@dataclass(frozen=True)
+@dataclass(frozen=True, eq=False)
 class Field:
     """Weights of the chain: of features by tag (0 outside, 1 begin, 2 inside) and of tag pairs."""
 
     weights: np.ndarray
     pairs: np.ndarray
 
+    @functools.cached_property
+    def light(self) -> np.ndarray:
+        return self.weights.astype(np.float32)
+
     def decode(self, rows: list[list[int]]) -> list[int]:
         unary = self.weights[np.array(rows)].sum(axis=1)
         best, back = unary[0] + np.array([0, 0, _NEVER]), []
@@ -206,10 +272,10 @@ class Field:
 
     def tags(self, chain: _Chain) -> np.ndarray:
         """The best tags of all tokens of a chain; borders are outside."""
-        u = np.zeros((len(chain.known), 3))
-        for f in chain.features():
-            u += self.weights[f]
-        p = self.pairs
+        u = _KNOWN.scores(self)[chain.numbers]
+        for f in chain.surroundings(chain.known[:, _OWN]):
+            u += self.light[f]
+        u, p = u.astype(np.float64), self.pairs
         u[chain.border] = [0, 2 * _NEVER, 2 * _NEVER]
         # What the pair scores may lose when a token turns to outside, and an inside one after it to begin.
         before = max(0, (p[:, 1:] - p[:, :1]).max())
@@ -293,15 +359,34 @@ def secret_parts(text: str) -> list[tuple[int, int]]:
     return out + [(a, b) for a, b, kind in base_spans(text) if kind != "assign"]
 
 
+def variants(text: str, each: int = VARIANTS) -> list[tuple[str, list[tuple[int, int]]]]:
+    """(text, secret parts): for every secret of the text, others of its kind in its place, announced
+    otherwise or not at all. Drawn from the secret's own hash, so that repeated texts give equal variants."""
+    out = []
+    spans = base_spans(text)
+    for s, e in secret_parts(text):
+        low, high = min((a for a, b, _ in spans if a <= s < b), default=s), max((b for a, b, _ in spans if a <= s < b), default=e)
+        draw = random.Random(_crc(text[s:e]))
+        for _ in range(each):
+            letters = draw.choice(ALPHABETS)
+            body = draw.choice(PREFIXES) + "".join(draw.choice(letters) for _ in range(draw.randint(16, 40)))
+            before, after = text[max(0, low - 60) : low] + draw.choice(CUES), draw.choice(("", "", "", ".", ";", "@")) + text[high : high + 60]
+            out.append((before + body + after, [(len(before), len(before) + len(body))]))
+    return out
+
+
 def _windows(texts: list[str]) -> Iterator[tuple[int, bytes, bytes]]:
-    """(rank, features, tags) of the training windows of the texts."""
+    """(rank, features, tags) of the training windows of the texts and of their secrets' variants."""
+    parts = [secret_parts(t) for t in texts]
+    more = [v for t, p in zip(texts, parts, strict=True) if p for v in variants(t)]
+    texts, parts = texts + [t for t, _ in more], parts + [p for _, p in more]
     for first, chain in _chains(texts):
         n = len(chain.known)
         start = chain.starts()
         tags, rank, hide = np.zeros(n, dtype=np.int64), {}, np.zeros(n, dtype=bool)
         for i, b in enumerate(chain.border[:-1]):
             text, last = texts[first + i], chain.border[i + 1]
-            for s, e in secret_parts(text):
+            for s, e in parts[first + i]:
                 low, high = b + 1 + np.searchsorted(start[b + 1 : last], [s, e])
                 tags[low:high] = 2
                 tags[low : min(low + 1, high)] = 1
@@ -318,8 +403,16 @@ def _windows(texts: list[str]) -> Iterator[tuple[int, bytes, bytes]]:
             yield r, x[low:high].tobytes(), y.tobytes()
 
 
-def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, *, text: str = "text") -> Field | None:
-    """Train on at most `most` distinct windows, those with the smallest ranks among all documents' windows.
+def _rank(text: str) -> int:
+    """Of a text, as one to learn from."""
+    low = text.lower()
+    likely = any(h in low for h in _HINTS) or "AKIA" in text or HEX.search(text)
+    return _crc(text) * (1 if likely else CHANCES[-1] // CHANCES[0])
+
+
+def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, rows: int = TRAINING_ROWS, *, text: str = "text") -> Field | None:
+    """Train on at most `most` distinct windows, those with the smallest ranks in the `rows` distinct texts
+    with the smallest ranks.
 
     A window that stands n times weighs 1 + log2(n): more than one does, but never the whole sample."""
 
@@ -327,7 +420,7 @@ def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, *, text: str = "text") ->
         held: dict[tuple[int, bytes, bytes], int] = {}
         top = math.inf  # no window of a higher rank is among the distinct ones of this partition
         for b in batches:
-            for w in _windows([t for t in b.column(0).to_pylist() if t]):
+            for w in _windows([t for t in b.column(0).to_pylist() if t and _rank(t) <= least]):
                 if w[0] <= top:
                     held[w] = held.get(w, 0) + 1
             if len(held) > 2 * most:
@@ -336,8 +429,16 @@ def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, *, text: str = "text") ->
         kept = sorted(held)[:most]
         yield pa.RecordBatch.from_arrays([pa.array([w[0] for w in kept], pa.int64()), pa.array([w[1] for w in kept], pa.binary()), pa.array([w[2] for w in kept], pa.binary()), pa.array([held[w] for w in kept], pa.int64())], names=["rank", "x", "y", "n"])
 
-    rows = docs.select(F.col(text)).mapInArrow(tidied(samples), "rank long, x binary, y binary, n long")
-    some = rows.groupBy("rank", "x", "y").agg(F.sum("n").alias("n")).orderBy("rank", "x", "y").limit(most).select("x", "y", "n").toArrow().to_pydict()
+    def ranked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([_rank(t) for t in b.column(0).to_pylist() if t], pa.int64())], names=["rank"])
+
+    texts = docs.select(F.col(text))
+    least = texts.mapInArrow(tidied(ranked), "rank long").distinct().orderBy("rank").limit(rows).agg(F.max("rank")).first()[0]
+    if least is None:
+        return None
+    found = texts.mapInArrow(tidied(samples), "rank long, x binary, y binary, n long")
+    some = found.groupBy("rank", "x", "y").agg(F.sum("n").alias("n")).orderBy("rank", "x", "y").limit(most).select("x", "y", "n").toArrow().to_pydict()
     return train([(np.frombuffer(x, "<u2").reshape(len(y), -1), np.frombuffer(y, "u1")) for x, y in zip(some["x"], some["y"], strict=True)], [1 + math.log2(n) for n in some["n"]])
 
 
