@@ -26,9 +26,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder the cluster names for checkpoints; one of our own only where none is set (tests)."""
+    """The folder the cluster names for checkpoints; one of our own only on a single machine."""
     named = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no shared folder")
         named = tempfile.mkdtemp(prefix="galoislake-")
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")

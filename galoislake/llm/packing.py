@@ -2,7 +2,7 @@
 
 Each task encodes its documents, cuts the longer ones, and packs the pieces best-fit, longest first.
 Bins that are nearly full are done. The others become items: round after round, fewer tasks pack them
-best-fit into fuller bins, until one task holds all that is left or a round no longer merges bins.
+best-fit into fuller bins, until one task holds all that is left or a round merges no bins.
 Only (bin, filled) pairs travel between rounds; pieces are joined with their bin's moves at the end.
 
 Defined results: a null text is an empty one, which is the closing id alone; repeated rows are packed
@@ -66,27 +66,29 @@ def pieces_of(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, at_onc
         encode = word_encoder(vocabulary, remembered).ids
         first = TaskContext.get().partitionId() * _BIN
         rows: list[tuple] = []
+        kind = pa.null()
         for b in batches:
+            kind = b.column(0).type
             for key, body in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 ids = encode(body.as_py() or "") + b"\0\0\0\0"
                 for k, at in enumerate(range(0, len(ids), 4 * capacity)):
                     part = ids[at : at + 4 * capacity]
                     rows.append((key, k, at // 4, len(part) // 4, zlib.crc32(part)))
                 if len(rows) >= at_once:
-                    out, first = _packed(rows, first, capacity)
+                    out, first = _packed(rows, first, capacity, kind)
                     yield out
                     rows = []
         if rows:
-            yield _packed(rows, first, capacity)[0]
+            yield _packed(rows, first, capacity, kind)[0]
 
     kind = docs.schema[doc_id].dataType.simpleString()
     return docs.select(doc_id, text).mapInArrow(tidied(run), f"doc_id {kind}, piece int, start long, length long, ids_crc32 long, bin long, place long, filled int")
 
 
-def _packed(rows: list[tuple], first: int, capacity: int) -> tuple[pa.RecordBatch, int]:
+def _packed(rows: list[tuple], first: int, capacity: int, kind: pa.DataType) -> tuple[pa.RecordBatch, int]:
     bins, places, filled = best_fit([r[3] for r in rows], capacity)
     keys, piece, start, length, crc = zip(*rows, strict=True)
-    columns = [pa.array(keys), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64()), pa.array([first + b for b in bins], pa.int64()), pa.array(places, pa.int64()), pa.array([filled[b] for b in bins], pa.int32())]
+    columns = [pa.array(keys, kind), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64()), pa.array([first + b for b in bins], pa.int64()), pa.array(places, pa.int64()), pa.array([filled[b] for b in bins], pa.int32())]
     return pa.RecordBatch.from_arrays(columns, names=["doc_id", "piece", "start", "length", "ids_crc32", "bin", "place", "filled"]), first + len(filled)
 
 
@@ -133,7 +135,7 @@ def merge_underfull(bins: DataFrame, capacity: int, slack: int, bins_at_once: in
             return moves
         merged = step.groupBy("into").agg(F.max("filled").alias("filled"))
         left = settle(merged.where(F.col("filled") < capacity - slack).select(F.col("into").alias("bin"), "filled"), "underfull")
-        if left.count() > 0.95 * count:
+        if left.count() == count:  # a round that merges nothing: what is left does not fit together
             return moves
 
 

@@ -7,13 +7,13 @@ close as the sweep passes, and a url is judged against the stack alone, longest
 rule's path as the remaining prefix test.
 
 Pages are swept where they lie: each task sorts the keys of its own batch, so a host with a third of
-all rows needs no exchange. Rules go to the tasks in sorted chunks of at most `RULES_AT_ONCE`; more
-rules mean more passes, each of which keeps the longer of its rule and the one found before.
+all rows needs no exchange. Rules go to the tasks in chunks of at most `RULES_AT_ONCE`, each sorted by
+itself; more rules mean more passes, each of which keeps the longer of its rule and the one found before.
 
 Defined results: a null url, or one without "://", has empty host and path, matches no rule and gets
 the default verdict; ports and user names stay part of the host; repeated rows are judged each; of
 two matching rules the longer text wins, then the longer host. Duplicate rules with opposite verdicts
-resolve to block. Columns other than the named ones are not read.
+resolve to block; rules without a text or a verdict are left out. Columns other than the named ones are not read.
 """
 
 from __future__ import annotations
@@ -53,6 +53,8 @@ def ordered_rules(rules: Iterable[tuple[str, str]]) -> list[tuple[str, str, str,
     """(key, host, path, verdict) sorted by key, so that an enclosing interval comes before its parts."""
     seen: dict[tuple[str, str], str] = {}
     for verdict, rule in rules:
+        if not verdict or not rule:
+            continue
         host, slash, path = rule.partition("/")
         at = (host.lower(), slash + path)
         seen[at] = "block" if "block" in (verdict, seen.get(at)) else verdict

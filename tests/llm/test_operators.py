@@ -65,6 +65,8 @@ def test_urls(spark):
         hits = [(len(h + s + p), h + s + p, v) for v, h, s, p in rules if (host == h or host.endswith("." + h)) and path.startswith(s + p)]
         assert got[i % 11, host, path] == (max(hits)[1:] if hits else (None, "allow")), u
     assert urls.judge(pages.limit(0)).count() == 0
+    holes = spark.createDataFrame([("block", None), (None, "net/"), ("block", "org/")], "verdict string, rule string")
+    assert {r.rule for r in urls.judge(pages, holes).collect()} == {None, "org/"}
     # Many nested rules, as a table: the sweep finds what trying every rule finds.
     rng = np.random.default_rng(3)
     names = [".".join(rng.choice(["a", "b", "c", "d-e", "f"], rng.integers(1, 4))) for _ in range(60)]
@@ -239,6 +241,8 @@ def test_packing(spark, docs, none):
         parts.sort()
         assert all(o == sum(n for _, n in parts[:k]) for k, (o, _) in enumerate(parts)) and sum(n for _, n in parts) <= 2048
     assert packing.pack(none).count() == 0
+    small = spark.createDataFrame([(1, "a b"), (2, None), (None, "c")], "doc_id int, text string")
+    assert packing.pack(small).schema["doc_id"].dataType.simpleString() == "int" and packing.pack(small).count() == 3
 
 
 def test_best_fit():
