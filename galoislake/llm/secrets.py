@@ -54,7 +54,7 @@ TRAINING_ROWS, TRAINING_CHUNKS = 5_000, 20_000
 WIDTH = 1 << 12
 WINDOW = 16  # tokens of a training window
 CHANCES = (1, 8, 64)  # of a window to be learned from: plain, with a digit, with a secret; the last one also of a text that may hold one
-TOKENS = 1 << 17  # about as many are held at once
+TOKENS = 1 << 15  # about as many are held at once; arrays of that size stay in the caches
 
 _ANY_CASE = "|".join("".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in k) for k in KEYWORDS)
 ASSIGN = re.compile(rf"""({_ANY_CASE})["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
@@ -115,8 +115,8 @@ class _Tokens(dict):
 
     def __init__(self):
         super().__init__()
-        self._made, self._fresh, self.chars = np.zeros((0, 9), dtype=np.int32), [0] * 9, 0
-        self._held, self._scores = None, np.zeros((0, 3), dtype=np.float32)
+        self._made, self._count, self._fresh, self.chars = np.zeros((1 << 12, 9), dtype=np.int32), 0, [0] * 9, 0
+        self._held, self._scores, self._scored = None, np.zeros((1 << 12, 3), dtype=np.float32), 0
         self[""] = 0
 
     def __missing__(self, token: str) -> int:
@@ -126,6 +126,9 @@ class _Tokens(dict):
         self.chars += len(token)
         if letters:
             mixed, digit = _UNMIXED, 0
+            if low == t and t.isascii() and size > 8 and t.strip("abcdef"):  # most words: lower case, not hexadecimal
+                self._fresh += (len(token), len(token) - size, _place("s", f"a{min(9, size // 4)}"), mixed, _place("v", _VARIETIES[min(len(set(t)), 255)]) % WIDTH, _HIDDEN, int(_ANNOUNCING(t) is not None), 0, 0)
+                return k
         else:
             mixed, digit = _place("m", min(6, len(_MIXTURES(t))) if size > 1 else 0) % WIDTH, int(any(c.isdigit() for c in t))
         own = _crc("w=" + low) % WIDTH if letters and size < 9 else _HIDDEN
@@ -135,20 +138,28 @@ class _Tokens(dict):
 
     @property
     def rows(self) -> np.ndarray:
-        if self._fresh:
-            self._made = np.concatenate([self._made, np.array(self._fresh, dtype=np.int32).reshape(-1, 9)])
-            self._fresh = []
-        return self._made
+        new, self._fresh = self._fresh, []
+        before, self._count = self._count, self._count + len(new) // 9
+        self._made = _roomy(self._made, self._count)
+        self._made[before : self._count] = np.array(new, dtype=np.int32).reshape(-1, 9)
+        return self._made[: self._count]
 
     def scores(self, field: Field) -> np.ndarray:
         """What each distinct token scores by itself; computed once a token and field."""
+        rows = self.rows
         if self._held is not field:
-            self._held, self._scores = field, np.zeros((0, 3), dtype=np.float32)
-        if len(self._scores) < len(self):
-            some = self.rows[len(self._scores) :]
-            new = sum(field.light[f] for f in _own_features(some, some[:, _OWN]))
-            self._scores = np.concatenate([self._scores, new])
-        return self._scores
+            self._held, self._scored = field, 0
+        if self._scored < len(rows):
+            some = rows[self._scored :]
+            self._scores = _roomy(self._scores, len(rows))
+            self._scores[self._scored : len(rows)] = sum(field.light[f] for f in _own_features(some, some[:, _OWN]))
+            self._scored = len(rows)
+        return self._scores[: len(rows)]
+
+
+def _roomy(x: np.ndarray, size: int) -> np.ndarray:
+    """x, or a copy with room for more rows than `size`."""
+    return x if size <= len(x) else np.concatenate([x, np.zeros((2 * size - len(x), x.shape[1]), dtype=x.dtype)])
 
 
 _KNOWN = _Tokens()
@@ -218,7 +229,7 @@ def _chains(texts: list[str]) -> Iterator[tuple[int, _Chain]]:
     """(place of its first text, chain) of groups of texts of bounded size."""
     first, numbers, border, files, size = 0, [], [], [], 0
     for i, text in enumerate(texts):
-        if not numbers and (len(_KNOWN) > 200_000 or _KNOWN.chars > 1 << 23):
+        if not numbers and (len(_KNOWN) > 300_000 or _KNOWN.chars > 1 << 23):
             _KNOWN.clear()  # numbers are used within a group only
             _KNOWN.__init__()
         tokens = _PIECES.findall(text.rstrip())
@@ -285,17 +296,23 @@ class Field:
         sure[chain.border] = True
         out = np.zeros(len(u), dtype=np.int64)
         edges = np.flatnonzero(np.diff(sure.astype(np.int8)))
-        pairs = p.tolist()
-        for low, high in zip(edges[::2] + 1, edges[1::2] + 1, strict=True):
-            best, back = [0.0, 2 * _NEVER, 2 * _NEVER], []
-            for row in u[low:high].tolist():
-                step = [max((best[a] + pairs[a][b], -a) for a in range(3)) for b in range(3)]
-                back.append([-a for _, a in step])
-                best = [x + y for (x, _), y in zip(step, row, strict=True)]
-            tag = max(range(3), key=lambda a: best[a] + pairs[a][0])  # noqa: B023
-            for k in range(high - low - 1, -1, -1):
-                out[low + k] = tag
-                tag = back[k][tag]
+        if not len(edges):
+            return out
+        # All stretches between sure tokens at once, the longest ones first, a token of each in a step.
+        low, size = edges[::2] + 1, edges[1::2] - edges[::2]
+        order = np.argsort(-size, kind="stable")
+        low, size = low[order], size[order]
+        live = np.searchsorted(-size, -np.arange(size[0]), side="left")  # stretches that are longer than each step
+        best, back = np.tile([0.0, 2 * _NEVER, 2 * _NEVER], (len(low), 1)), np.zeros((len(u), 3), dtype=np.int8)
+        for t, m in enumerate(live.tolist()):
+            step = best[:m, :, None] + p
+            back[low[:m] + t] = step.argmax(axis=1)
+            best[:m] = step.max(axis=1) + u[low[:m] + t]
+        tag = (best + p[:, 0]).argmax(axis=1)
+        for t in range(len(live) - 1, -1, -1):
+            at = low[: live[t]] + t
+            out[at] = tag[: live[t]]
+            tag[: live[t]] = back[at, tag[: live[t]]]
         return out
 
 
