@@ -29,6 +29,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.classic.column import Column as _JvmColumn
 
 from galoislake.llm.common import settle, table, tidied
 from galoislake.llm.vocab import ranks, split_pattern, vocabulary_path
@@ -84,6 +85,17 @@ def _placed(hashes: np.ndarray, values: np.ndarray) -> tuple[int, np.ndarray, np
     return skip, moves, placed, held
 
 
+def _literal(spark: SparkSession, values: np.ndarray) -> Column:
+    """A literal array of int32 or int64 in Spark's binary layout: plans neither spell it out nor box it."""
+    catalyst = spark._jvm.org.apache.spark.sql.catalyst.expressions
+    flat = values.tobytes()
+    raw = bytearray(len(values).to_bytes(8, "little") + bytes((len(values) + 63) // 64 * 8) + flat + bytes(-len(flat) % 8))
+    data = catalyst.UnsafeArrayData()
+    data.pointTo(raw, spark._jvm.org.apache.spark.unsafe.Platform.BYTE_ARRAY_OFFSET, len(raw))
+    kind = spark._jvm.org.apache.spark.sql.types.DataType.fromDDL("array<int>" if values.itemsize == 4 else "array<bigint>")
+    return _JvmColumn(spark._jvm.org.apache.spark.sql.classic.ExpressionUtils.column(catalyst.Literal(data, kind)))
+
+
 class Coder:
     """The fold of one vocabulary file, as a column.
 
@@ -94,9 +106,8 @@ class Coder:
         pairs = np.array(_pairs(path), dtype=np.int64)
         rows = pa.table({"l": pairs[:, 0].astype(np.int32), "r": pairs[:, 1].astype(np.int32), "v": pairs[:, 2]})
         hashed = spark.createDataFrame(rows).select(F.xxhash64("l", "r").alias("h"), "v").toArrow()  # as many rows as the vocabulary has pairs
-        listed = lambda x, kind: F.split(F.lit(",".join(map(str, x.tolist()))), ",").cast(f"array<{kind}>")
         self._skip, moves, placed, held = _placed(hashed.column(0).to_numpy().copy(), hashed.column(1).to_numpy())
-        self._moves, self._placed, self._held = listed(moves, "bigint"), listed(placed, "bigint"), listed(held, "int")
+        self._moves, self._placed, self._held = (_literal(spark, x) for x in (moves, placed, held.astype(np.int32)))
 
     def _ranks(self, ids: Column) -> Column:
         """The rank of each neighbouring pair, _NONE where it has none."""
