@@ -72,3 +72,23 @@ def test_blocks_do_not_lose_seeds_over_their_borders(spark):
     seeds = ctx.sets([s[:2] for s in sets]).distinct().toDF("s0", "s1")
     plain = {tuple(r) for r in closure.close(ctx, seeds, "join").collect()}
     assert {tuple(r) for r in closure._by_blocks(ctx, seeds, 37, 11).collect()} == plain
+
+
+def test_tiny_queries_read_the_customers(spark, tmp_path):
+    import __spark_entry__ as entry
+
+    spark.createDataFrame([(1, "BUILDING", -5.0), (2, "BUILDING", 10.0)], "c_custkey long, c_mktsegment string, c_acctbal double").write.parquet(str(tmp_path / "customer.parquet"))
+    assert [tuple(r) for r in entry.queries()["bottom_intent_tiny"](spark, str(tmp_path)).collect()] == [("seg=BUILDING", 1, 2)]
+
+
+def test_keyed_state_takes_few_files(spark, monkeypatch):
+    import glob
+
+    import __spark_entry__ as entry
+    from galoislake.streaming import queries
+
+    paths, plain = {}, queries.new_path
+    monkeypatch.setattr(queries, "new_path", lambda s, name: paths.setdefault(name, plain(s, name)) if name == "closed" else plain(s, name))
+    entry.queries()["stream_common_by_user"](spark, "/root/testdata/sf0.001")
+    batches = glob.glob(paths["closed"].removeprefix("file:") + "/batch=*")
+    assert batches and all(len(glob.glob(b + "/part-*")) <= queries.STATE_FILES for b in batches)
