@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.classic.column import Column as _JvmColumn
 
 from galoislake.llm.common import settle, table, tidied
-from galoislake.llm.vocab import ranks, split_pattern, vocabulary_path
+from galoislake.llm.vocab import cutter, ranks, split_pattern, vocabulary_path
 
 TABLE = 600_000  # about 30 bytes each
 REMEMBERED = 300_000  # words that a task has at hand, but for those of its last text
@@ -260,9 +260,7 @@ def _coded(docs: DataFrame, path: str, most: int, doc_id: str, text: str) -> tup
     known = spark.sparkContext.broadcast(_folded_table(frequent_words(docs, most, text=text), coder, path))  # at most `most` words
 
     def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import regex
-
-        cut, whole, table = regex.compile(cut_by).findall, ranks(path), known.value
+        cut, whole, table = cutter(cut_by), ranks(path), known.value
         seen: dict[str, bytes] = {}
         given = 0
         for b in batches:

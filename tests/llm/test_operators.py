@@ -278,6 +278,19 @@ def test_byte_pair_digests(spark, monkeypatch):
         assert sorted(got, key=str) == sorted(want, key=str)
 
 
+def test_pieces_of_agreed_characters_are_those_of_the_pattern():
+    import regex
+
+    pattern = vocab.split_pattern()
+    want, got = regex.compile(pattern).findall, vocab.cutter(pattern)
+    for c in map(chr, (i for i in range(1 << 16) if not 0xD800 <= i < 0xE000)):
+        for text in (c, f"a{c}1{c}", f" {c}\n {c} \n", f"'s{c}'re {c}'{c}"):
+            if vocab._agreed(c):
+                assert got(text) == want(text)
+    for text in (LONG, "", "x² ½\x1c\x85 naïve", "it's I'LL we'll  \n\u00a0 x_1 12a", *(t or "" for _, t in ODD)):
+        assert got(text) == want(text)
+
+
 def test_long_words_take_the_same_merges():
     path = vocab.vocabulary_path("byte_bpe_50k.tiktoken")
     encoder, _ = vocab.byte_encoder(path, vocab.split_pattern())
