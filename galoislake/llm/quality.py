@@ -181,7 +181,9 @@ def fit(docs: DataFrame, labels: DataFrame, to_pooled: float = 0.15, to_round: f
 
     @F.pandas_udf("array<double>")
     def vectors(texts: pd.Series) -> pd.Series:
-        return pd.Series(list(statistics(texts.tolist())))
+        out = pd.Series(list(statistics(texts.tolist())))
+        release()
+        return out
 
     known = labels.select(F.col(doc_id).alias("id"), F.col(label).cast("int").alias("y")).where("y in (0, 1)").where(~held_out(F.col("id")))
     # The text's vector is computed ahead of the join; the fold is cut on both sides.

@@ -31,16 +31,15 @@ import random
 import re
 import string
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from galoislake.llm.common import table, tidied
+from galoislake.llm.common import release, table, tidied
 
 # The words that announce a secret, the kinds of spans and their least lengths.
 KEYWORDS = ("password", "passwd", "secret", "token", "api_?key")
@@ -165,6 +164,11 @@ def _roomy(x: np.ndarray, size: int) -> np.ndarray:
 _KNOWN = _Tokens()
 
 
+def _forget_tokens() -> None:
+    _KNOWN.clear()
+    _KNOWN.__init__()
+
+
 def _hashed(kind: int, a: np.ndarray, b: np.ndarray | int) -> np.ndarray:
     """Places of pairs of numbers among the weights."""
     x = a.astype(np.uint32) * np.uint32(0x9E3779B1) + np.asarray(b).astype(np.uint32) * np.uint32(0x85EBCA77) + np.uint32(kind * 0xC2B2AE3D & 0xFFFFFFFF)
@@ -230,8 +234,7 @@ def _chains(texts: list[str]) -> Iterator[tuple[int, _Chain]]:
     first, numbers, border, files, size = 0, [], [], [], 0
     for i, text in enumerate(texts):
         if not numbers and (len(_KNOWN) > 300_000 or _KNOWN.chars > 1 << 23):
-            _KNOWN.clear()  # numbers are used within a group only
-            _KNOWN.__init__()
+            _forget_tokens()  # numbers are used within a group only
         tokens = _PIECES.findall(text.rstrip())
         border.append(size)
         files.append(_crc(file_kind(text)))
@@ -443,6 +446,7 @@ def fit(docs: DataFrame, most: int = TRAINING_CHUNKS, rows: int = TRAINING_ROWS,
             if len(held) > 2 * most:
                 held = {w: held[w] for w in sorted(held)[:most]}
                 top = max((w[0] for w in held), default=-1)
+        _forget_tokens()
         kept = sorted(held)[:most]
         yield pa.RecordBatch.from_arrays([pa.array([w[0] for w in kept], pa.int64()), pa.array([w[1] for w in kept], pa.binary()), pa.array([w[2] for w in kept], pa.binary()), pa.array([held[w] for w in kept], pa.int64())], names=["rank", "x", "y", "n"])
 
@@ -508,14 +512,22 @@ def find(docs: DataFrame, field: Field | None, *, doc_id: str = "doc_id", text:
     return docs.select(doc_id, text).mapInArrow(run, f"`{doc_id}` {kind}, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
 
 
-def mask(docs: DataFrame, field: Field | None, mark: str = "[secret]", *, text: str = "text") -> DataFrame:
-    """docs with every span of its texts replaced by the mark; null texts stay null."""
+def masker(field: Field | None, mark: str = "[secret]") -> Callable[[Iterator[pa.Array]], Iterator[pa.Array]]:
+    """Texts with every span replaced by the mark; a worker keeps no tokens after them."""
 
-    @F.pandas_udf("string")
-    def masked(texts: pd.Series) -> pd.Series:
-        return pd.Series([t if t is None else _masked(t, spans, mark) for t, spans in zip(texts.tolist(), scans(texts.tolist(), field), strict=True)], dtype="object")
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for b in batches:
+            texts = b.to_pylist()
+            yield pa.array([t if t is None else _masked(t, spans, mark) for t, spans in zip(texts, scans(texts, field), strict=True)], pa.string())
+            release()
+        _forget_tokens()  # workers live on, and the stages after this one need the memory
 
-    return docs.withColumn(text, masked(F.col(text)))
+    return tidied(run)
+
+
+def mask(docs: DataFrame, field: Field | None, mark: str = "[secret]", *, text: str = "text") -> DataFrame:
+    """docs with every span of its texts replaced by the mark; null texts stay null."""
+    return docs.withColumn(text, F.arrow_udf(masker(field, mark), "string")(F.col(text)))
 
 
 def _masked(text: str, spans: list[tuple[int, int, str]], mark: str) -> str:

@@ -204,6 +204,16 @@ def test_base_spans_and_digests(spark):
     assert got == sorted(want, key=str)
 
 
+def test_masking_leaves_no_tokens_in_a_worker():
+    import pyarrow as pa
+
+    field = secrets.Field(np.zeros((secrets.WIDTH, 3)) + [1, 0, 0], np.zeros((3, 3)))
+    run = secrets.masker(field, "*")
+    got = [b.to_pylist() for b in run(iter([pa.array([prose(1, 50), None, ""]), pa.array(["token=abcdefgh12 end"]), pa.array([], pa.string())]))]
+    assert got == [[prose(1, 50), None, ""], ["* end"], []]
+    assert len(secrets._KNOWN) == 1 and secrets._KNOWN.chars == 0  # the border
+
+
 def test_secrets_in_formats_that_no_pattern_knows(spark):
     rng = np.random.default_rng(9)
     drawn = lambda: "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz0123456789"), 24))
