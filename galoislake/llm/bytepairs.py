@@ -34,11 +34,11 @@ from pyspark.sql.classic.column import Column as _JvmColumn
 from galoislake.llm.common import settle, table, tidied
 from galoislake.llm.vocab import cutter, ranks, split_pattern, vocabulary_path
 
-TABLE = 600_000  # about 30 bytes each
+TABLE = 1_500_000  # about 30 bytes each
 REMEMBERED = 300_000  # words that a task has at hand, but for those of its last text
 LONG = 128
 _SLOT_BITS, _BUCKET_BITS = 18, 15
-_NONE = (1 << 31) - 1  # the rank of a pair that has none
+_AT_BITS = 12  # of a pair's place in a word that is folded; more than LONG needs
 
 
 def pattern() -> str:
@@ -99,39 +99,41 @@ def _literal(spark: SparkSession, values: np.ndarray) -> Column:
 class Coder:
     """The fold of one vocabulary file, as a column.
 
-    A pair is known by the 64-bit hash of its two ids; the expressions of the fold keep clear of
-    arithmetic, which is slow where expressions are interpreted."""
+    A pair is known by the 64-bit hash of its two ids. A rank and the pair's place in the word are one
+    number, so the least one tells both; array_position would end each search by an exception. The
+    expressions of the fold keep clear of arithmetic, which is slow where expressions are interpreted."""
 
     def __init__(self, spark: SparkSession, path: str):
         pairs = np.array(_pairs(path), dtype=np.int64)
+        if pairs[:, 2].max() >= 1 << 31 - _AT_BITS:
+            raise ValueError("ranks are too high to stand beside a place")
         rows = pa.table({"l": pairs[:, 0].astype(np.int32), "r": pairs[:, 1].astype(np.int32), "v": pairs[:, 2]})
         hashed = spark.createDataFrame(rows).select(F.xxhash64("l", "r").alias("h"), "v").toArrow()  # as many rows as the vocabulary has pairs
         self._skip, moves, placed, held = _placed(hashed.column(0).to_numpy().copy(), hashed.column(1).to_numpy())
-        self._moves, self._placed, self._held = (_literal(spark, x) for x in (moves, placed, held.astype(np.int32)))
+        self._moves, self._placed, self._held = (_literal(spark, x) for x in (moves, placed, (held << _AT_BITS).astype(np.int32)))
 
-    def _ranks(self, ids: Column) -> Column:
-        """The rank of each neighbouring pair, _NONE where it has none."""
+    def _best(self, ids: Column) -> Column:
+        """The least rank of a neighbouring pair with the pair's place in its low bits; null for none."""
 
         def found(hashes: Column) -> Column:
             places = F.transform(hashes, lambda h: F.get(self._moves, F.shiftrightunsigned(h, 64 - _BUCKET_BITS)).bitwiseXOR(F.shiftrightunsigned(F.shiftleft(h, self._skip), 64 - _SLOT_BITS)))
-            return F.zip_with(places, hashes, lambda at, h: F.when(F.get(self._placed, at) == h, F.get(self._held, at)).otherwise(F.lit(_NONE)))
+            return F.transform(places, lambda at, i: F.when(F.get(self._placed, at) == F.get(hashes, i), F.get(self._held, at).bitwiseOR(i)))
 
-        return _named(F.transform(F.slice(ids, F.lit(2), F.size(ids)), lambda right, i: F.xxhash64(F.get(ids, i), right)), found)
+        return F.array_min(_named(F.transform(F.slice(ids, F.lit(2), F.size(ids)), lambda right, i: F.xxhash64(F.get(ids, i), right)), found))
 
     def fold(self, ids: Column) -> Column:
-        """The ids of a word from the ids of its bytes."""
+        """The ids of a word from the ids of its bytes, at most 2^_AT_BITS."""
 
-        def merged(state: Column) -> Column:
-            p, r = state["p"], state["r"]
+        def state(p: Column) -> Column:
+            return F.struct(p.alias("p"), self._best(p).alias("b"))
 
-            def joined(least: Column) -> Column:
-                return _named(F.array_position(r, least).cast("int"), lambda k: F.concat(F.slice(p, F.lit(1), k - 1), F.array(least), F.slice(p, k + 2, F.size(p))))
+        def merged(s: Column) -> Column:
+            p, b = s["p"], s["b"]
+            put = lambda k: F.transform(p, lambda x, i: F.when(i == k, F.shiftrightunsigned(b, _AT_BITS)).otherwise(x))
+            joined = _named(b.bitwiseAND(F.lit((1 << _AT_BITS) - 1)), lambda k: _named(k + 1, lambda gone: F.filter(put(k), lambda x, i: i != gone)))
+            return F.when(b.isNotNull(), _named(joined, state)).otherwise(s)
 
-            new = _named(_named(F.array_min(r), joined), lambda q: F.struct(q.alias("p"), self._ranks(q).alias("r")))
-            return F.when(F.array_min(r) < F.lit(_NONE), new).otherwise(state)
-
-        start = F.struct(ids.alias("p"), self._ranks(ids).alias("r"))
-        folded = F.aggregate(F.slice(ids, F.lit(2), F.size(ids)), start, lambda s, _: merged(s))["p"]
+        folded = F.aggregate(F.slice(ids, F.lit(2), F.size(ids)), state(ids), lambda s, _: merged(s))["p"]
         return F.when(F.size(ids) > 1, folded).otherwise(ids)
 
 
@@ -236,7 +238,7 @@ def _folded_table(words: DataFrame, coder: Coder, path: str) -> _Table:
     own = sizes[order].astype(np.int64)
     sorted_ends = np.cumsum(own)
     at = np.repeat((ends - sizes)[order] - sorted_ends + own, own) + np.arange(len(flat))
-    return _Table(hashes[order], sorted_ends, flat[at].tobytes())
+    return _Table(hashes[order], sorted_ends.astype(np.int32), flat[at].tobytes())
 
 
 def encode(docs: DataFrame, vocabulary: str | None = None, most: int = TABLE, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

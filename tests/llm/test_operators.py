@@ -6,6 +6,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from galoislake.llm import attribution, bytepairs, graph, lines, neighbours, packing, quality, secrets, shingles, urls, vectors, vocab
 
@@ -288,6 +289,17 @@ def test_byte_pair_digests(spark, monkeypatch):
         assert sorted(got, key=str) == sorted(want, key=str)
 
 
+def test_folded_words_find_places_without_a_search(spark):
+    path = vocab.vocabulary_path("byte_bpe_50k.tiktoken")
+    encoder, _ = vocab.byte_encoder(path, vocab.split_pattern())
+    rng = np.random.default_rng(3)
+    words = [b"a", "ñ".encode(), b"aaaaaa", b" ofanstheran", *(bytes(rng.choice(np.frombuffer(b"theanding ", np.uint8), n)) for n in (2, 9, 30, bytepairs.LONG))]
+    starts = spark.createDataFrame([(k, [vocab.ranks(path)[bytes([b])] for b in w]) for k, w in enumerate(words)], "k int, start array<int>")
+    folded = starts.select("k", bytepairs.Coder(spark, path).fold(F.col("start")).alias("ids"))
+    assert [r.ids for r in folded.orderBy("k").collect()] == [encoder._encode_single_piece(w) for w in words]
+    assert "array_position" not in folded._jdf.queryExecution().toString()
+
+
 def test_pieces_of_agreed_characters_are_those_of_the_pattern():
     import regex
 
