@@ -41,3 +41,20 @@ def test_the_shape_of_document_terms_mines_no_family(spark, monkeypatch):
     monkeypatch.setattr(catalogue, "mined", refused)
     got = catalogue.queries()["lattice_shape_document_terms"](spark, "/root/testdata/sf0.01").collect()
     assert sum(r.concepts for r in got) == max(r.running for r in got) == 4478
+
+
+def test_subtrees_of_few_rows_are_counted_by_tables_of_their_rows():
+    rng = np.random.default_rng(3)
+    words = rng.integers(0, 1 << 63, (64, 5), dtype=np.uint64)
+    flags = np.array([[[int(x) >> i & 1 for i in range(64)] for x in column] for column in words.T])
+    turned = np.array([[[int(x) >> i & 1 for i in range(64)] for x in column] for column in sizes._transposed(words.copy()).T])
+    assert (turned == flags.transpose(0, 2, 1)).all()
+    for n, m in ((1, 5), (2, 63), (8, 20), (9, 63), (64, 12), (65, 12), (130, 10)):
+        rows = np.unique(np.packbits(rng.random((n, 64)) < 0.5, axis=1).view(">u8").ravel().astype(np.int64) & (1 << 63) - (1 << 63 - m))
+        family = set()
+        for r in rows.tolist():
+            family |= {f & r for f in family} | {r}
+        want = Counter(f.bit_count() for f in family)
+        for most in (256, sizes.MOST):
+            got = sizes.subtree_sizes((rows, int(np.bitwise_and.reduce(rows)), -1), m, most)
+            assert {k: c for k, c in enumerate(got.tolist()) if c} == want
